@@ -5,11 +5,8 @@ Nothing outside this subpackage imports it. Code that runs in Python workers is
 so executors need PySpark and the numeric libraries but not this repository.
 """
 
-from pyspark import cloudpickle
+import sys
 
-from kgtrail.llm import common, kernels
+from pyspark import cloudpickle
 
-cloudpickle.register_pickle_by_value(common)
-cloudpickle.register_pickle_by_value(kernels)
-for _m in kernels.MODULES:
-    cloudpickle.register_pickle_by_value(_m)
+cloudpickle.register_pickle_by_value(sys.modules[__name__])

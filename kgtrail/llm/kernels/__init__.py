@@ -1,5 +1 @@
 """Single-machine algorithms that run inside Python workers; no Spark in here."""
-
-from kgtrail.llm.kernels import backtrack, simple8b
-
-MODULES = [backtrack, simple8b]
