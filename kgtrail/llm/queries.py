@@ -2,8 +2,19 @@
 
 from __future__ import annotations
 
+from kgtrail.llm import op2_decontaminate as op2
+from kgtrail.llm import op4_chat_views as op4
 from kgtrail.llm.op1_bpe import op1_bpe
+from kgtrail.llm.op2_decontaminate import op2_decontaminate
 from kgtrail.llm.op3_token_files import op3_token_files
+from kgtrail.llm.op4_chat_views import op4_chat_views
+from kgtrail.llm.op5_reshard import op5_reshard
 
-QUERIES = {"op1_bpe": op1_bpe, "op3_token_files": op3_token_files}
-SQL: dict[str, str] = {}
+QUERIES = {
+    "op1_bpe": op1_bpe,
+    "op2_decontaminate": op2_decontaminate,
+    "op3_token_files": op3_token_files,
+    "op4_chat_views": op4_chat_views,
+    "op5_reshard": op5_reshard,
+}
+SQL = {"op2_decontaminate": op2.SQL, "op4_chat_views": op4.SQL}
