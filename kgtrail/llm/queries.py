@@ -9,6 +9,8 @@ from kgtrail.llm.op2_decontaminate import op2_decontaminate
 from kgtrail.llm.op3_token_files import op3_token_files
 from kgtrail.llm.op4_chat_views import op4_chat_views
 from kgtrail.llm.op5_reshard import op5_reshard
+from kgtrail.llm.op6_pii import op6_pii
+from kgtrail.llm.op10_toxicity import op10_toxicity
 
 QUERIES = {
     "op1_bpe": op1_bpe,
@@ -16,5 +18,7 @@ QUERIES = {
     "op3_token_files": op3_token_files,
     "op4_chat_views": op4_chat_views,
     "op5_reshard": op5_reshard,
+    "op6_pii": op6_pii,
+    "op10_toxicity": op10_toxicity,
 }
 SQL = {"op2_decontaminate": op2.SQL, "op4_chat_views": op4.SQL}
