@@ -10,6 +10,7 @@ from kgtrail.llm.op3_token_files import op3_token_files
 from kgtrail.llm.op4_chat_views import op4_chat_views
 from kgtrail.llm.op5_reshard import op5_reshard
 from kgtrail.llm.op6_pii import op6_pii
+from kgtrail.llm.op7_repeats import op7_repeats
 from kgtrail.llm.op8_near_copies import op8_near_copies
 from kgtrail.llm.op9_embeddings import op9_embeddings
 from kgtrail.llm.op10_toxicity import op10_toxicity
@@ -21,6 +22,7 @@ QUERIES = {
     "op4_chat_views": op4_chat_views,
     "op5_reshard": op5_reshard,
     "op6_pii": op6_pii,
+    "op7_repeats": op7_repeats,
     "op8_near_copies": op8_near_copies,
     "op9_embeddings": op9_embeddings,
     "op10_toxicity": op10_toxicity,
