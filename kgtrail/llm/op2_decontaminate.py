@@ -60,7 +60,7 @@ def rarest_pairs(found: DataFrame, counts: DataFrame) -> DataFrame:
     return pairs.filter("least > 0").select("phrase", "len", F.col("a.key").alias("key"), F.col("a.off").alias("off"), F.col("b.key").alias("key2"), F.col("b.off").alias("off2"))
 
 
-def postings(docs: DataFrame, pairs: DataFrame, slop: int = 0) -> DataFrame:
+def postings(docs: DataFrame, pairs: DataFrame, slop: int = 0, keep: tuple[str, ...] = ()) -> DataFrame:
     """row, doc_id, phrase, start, around: where both rare terms of a window stand in place.
 
     Every document also has a closing posting (phrase -1, start = its number of words), so the
@@ -69,8 +69,8 @@ def postings(docs: DataFrame, pairs: DataFrame, slop: int = 0) -> DataFrame:
     """
     end = docs.sparkSession.range(1).select(F.lit(-1).cast("long").alias("phrase"), F.lit(1).alias("len"), F.lit("").alias("key"), F.lit(0).alias("off"), F.lit("").alias("key2"), F.lit(0).alias("off2"))
     probe = sized(pairs.select("phrase", "len", "key", "off", "key2", "off2").unionByName(end))
-    rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), F.concat(words(F.col("text")), F.array(F.lit(""))).alias("ws"))
-    each = rows.select("row", "doc_id", "ws", F.posexplode("ws").alias("pos", "w")).withColumn("key", F.lower("w"))
+    rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), *keep, F.concat(words(F.col("text")), F.array(F.lit(""))).alias("ws"))
+    each = rows.select("row", "doc_id", *keep, "ws", F.posexplode("ws").alias("pos", "w")).withColumn("key", F.lower("w"))
     at = F.col("pos") + F.col("off2") - F.col("off")
     if slop:
         near = F.slice("ws", F.greatest(at - slop, F.lit(0)) + 1, F.lit(2 * slop + 1))
@@ -81,7 +81,7 @@ def postings(docs: DataFrame, pairs: DataFrame, slop: int = 0) -> DataFrame:
     start = F.col("pos") - F.col("off")
     first = F.greatest(start - slop, F.lit(0))
     around = F.transform(F.slice("ws", first + 1, F.col("len") + start - first + slop), ascii_lower)
-    return hits.select("row", "doc_id", "phrase", start.alias("start"), around.alias("around"))
+    return hits.select("row", "doc_id", *keep, "phrase", start.alias("start"), around.alias("around"))
 
 
 def exact_matches(posted: DataFrame, found: DataFrame) -> DataFrame:
@@ -107,8 +107,18 @@ def prepared(docs: DataFrame, items: DataFrame, width: int) -> tuple[DataFrame,
     return found, stored(rarest_pairs(found, counts), "rare-pairs")
 
 
-def decontaminate(docs: DataFrame, items: DataFrame, *, width: int = WIDTH) -> DataFrame:
-    """One row for each row of docs: doc_id, n_words, n_hit, n_items, items_sha256, contaminated.
+def clean(docs: DataFrame, items: DataFrame, **options) -> DataFrame:
+    """The rows of docs that are not contaminated, with all their columns; rows that agree in
+    doc_id and text are judged alike."""
+    judged = decontaminate(docs.withColumn("_mark", F.xxhash64("text")), items, marks=("_mark",), **options)
+    bad = sized(stored(judged.filter("contaminated").select(F.col("doc_id").alias("bad_id"), F.col("_mark").alias("bad_mark")).distinct(), "contaminated"))
+    same = F.col("doc_id").cast("long").eqNullSafe(F.col("bad_id")) & (F.xxhash64("text") == F.col("bad_mark"))
+    return docs.join(bad, same, "left_anti")
+
+
+def decontaminate(docs: DataFrame, items: DataFrame, *, width: int = WIDTH, marks: tuple[str, ...] = ()) -> DataFrame:
+    """One row for each row of docs: doc_id, n_words, n_hit, n_items, items_sha256, contaminated,
+    and the columns of docs named in `marks`.
 
     Null text has no words; a document without words has no hit; rows with the same doc_id are
     judged each on its own; a test item with null text or without words makes no window, one with
@@ -116,14 +126,14 @@ def decontaminate(docs: DataFrame, items: DataFrame, *, width: int = WIDTH) -> D
     columns are ignored.
     """
     found, pairs = prepared(docs, items, width)
-    posted = stored(postings(docs, pairs), "postings")
+    posted = stored(postings(docs, pairs, keep=marks), "postings")
     hits = exact_matches(posted, found)
     reach = F.max(F.col("start") + F.col("len")).over(Window.partitionBy("row").orderBy("start", F.desc("len")).rowsBetween(Window.unboundedPreceding, -1))
     new = F.greatest(F.lit(0), F.col("start") + F.col("len") - F.greatest("start", F.coalesce(reach, F.lit(0))))
     covered = hits.select("row", "start", "len").withColumn("new", new).groupBy("row").agg(F.sum("new").alias("hit"))
     named = hits.select("row", "items").distinct().select("row", F.explode("items").alias("item")).distinct()
     named = named.groupBy("row").agg(F.sort_array(F.collect_list("item")).alias("ids"))
-    ends = posted.filter("phrase = -1").select("row", "doc_id", F.col("start").cast("long").alias("n_words"))
+    ends = posted.filter("phrase = -1").select("row", "doc_id", *marks, F.col("start").cast("long").alias("n_words"))
     ids = F.coalesce("ids", F.array().cast("array<string>"))
     n_hit = F.coalesce("hit", F.lit(0)).cast("long")
     return ends.join(covered, "row", "left").join(named, "row", "left").select(
@@ -133,6 +143,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, *, width: int = WIDTH) -> D
         F.size(ids).cast("long").alias("n_items"),
         F.sha2(F.concat_ws(",", ids), 256).alias("items_sha256"),
         ((n_hit > 0) & (20 * n_hit >= F.col("n_words"))).alias("contaminated"),
+        *marks,
     )
 
 
