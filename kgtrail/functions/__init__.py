@@ -1 +1 @@
-"""Part of kgtrail."""
+"""Column functions composed of built-ins; nothing here leaves the JVM."""

@@ -30,3 +30,12 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 def oracle_sql() -> dict[str, str]:
     return _SQL
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _QUERIES["pipeline_end_to_end"](spark, sf_dir)
+
+
+def load() -> None:
+    """Imports the modules that register queries."""
+    import kgtrail.queries  # noqa: F401
