@@ -1,9 +1,11 @@
 """Near-duplicate texts: dart signatures, banded candidates, exact similarity, components.
 
-Texts with the same words are one from the start. Candidates share a band; within a band's bucket
-all members are compared with one hub, in a few rounds with new hubs, until each bucket lies in
-one component or, at last, every pair of its members from different components is compared. So no
-bucket's pairs are listed while a hub can stand for them, and none of its links is lost.
+Texts with the same words are one from the start. Candidates share a band. Members of a band's
+bucket are first compared with its most central member, then with the next; for most buckets that
+joins all that belongs together. What is left are buckets with several components: in small ones
+the pairs across components are compared, large ones are compared block by block inside tasks,
+which hand on no more links than members. So no link within a bucket is lost, and no list of all
+pairs of a large bucket is ever made.
 """
 
 from __future__ import annotations
@@ -24,7 +26,9 @@ LEAST = 0.8
 #: Bands and coordinates in each; a pair of similarity 0.8 shares no band once in 50,000 times.
 BANDS, ROWS = 36, 6
 #: Rounds in which a bucket's members are compared with one hub.
-HUB_ROUNDS = 3
+HUB_ROUNDS = 2
+#: Members up to which a bucket's pairs are listed, and those in a block of a larger bucket.
+SMALL, BLOCK = 24, 512
 SIGNED = "row long, doc_id long, mark long, digest binary, bands array<long>, n int, items array<int>"
 
 
@@ -60,6 +64,55 @@ def verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
     return both.filter(common >= least * (F.col("na") + F.col("nb") - common)).select("a", "b")
 
 
+def _linker(least: float):
+    import pandas as pd
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        """Links between different components among the rows of one or two blocks."""
+        m = len(pdf)
+        n = pdf["n"].to_numpy(np.float64)
+        who = np.repeat(np.arange(m), pdf["n"].to_numpy())
+        _, item, times = np.unique(np.concatenate(pdf["items"].to_numpy()), return_inverse=True, return_counts=True)
+        shared = np.flatnonzero(times > 1)
+        place = np.full(len(times), -1)
+        place[shared] = np.arange(len(shared))
+        item = place[item]
+        who, item = who[item >= 0], item[item >= 0]
+        common = np.zeros((m, m), np.float32)
+        for lo in range(0, len(shared), 4096):
+            some = (item >= lo) & (item < lo + 4096)
+            table = np.zeros((m, min(4096, len(shared) - lo)), np.float32)
+            table[who[some], item[some] - lo] = 1
+            common += table @ table.T
+        common = common.astype(np.float64)
+        comp = pdf["component"].to_numpy()
+        alike = (common >= least * (n[:, None] + n[None, :] - common)) & (comp[:, None] != comp[None, :])
+        rows, left, links = pdf["row"].to_numpy(), np.ones(m, bool), []
+        for start in range(m):
+            todo = [start] if left[start] else []
+            left[start] = False
+            while todo:
+                k = todo.pop()
+                found = np.flatnonzero(alike[k] & left)
+                left[found] = False
+                links += [(rows[k], rows[j]) for j in found]
+                todo += found.tolist()
+        return pd.DataFrame(links, columns=["a", "b"], dtype=np.int64)
+
+    return run
+
+
+def linked_in_blocks(members: DataFrame, texts: DataFrame, least: float) -> DataFrame:
+    """Links (a, b) that join what all links across components in the buckets join. Blocks are made
+    by a hash of the row, so each holds about BLOCK members, and each two blocks meet once."""
+    sizes = members.groupBy("bucket").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    placed = members.join(sizes, "bucket").withColumn("b", F.pmod(F.xxhash64("row"), F.col("blocks")).cast("int"))
+    placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    placed = placed.select("bucket", "row", "component", F.least("b", "other").alias("i"), F.greatest("b", "other").alias("j"))
+    needed = texts.select("row", "n", "items").join(sized(members.select("row").distinct()), "row", "left_semi")
+    return placed.join(needed, "row").groupBy("bucket", "i", "j").applyInPandas(_linker(least), "a long, b long")
+
+
 def near_copies(docs: DataFrame, *, least: float = LEAST, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """doc_id, mark (hash of the text), class_id, kept: one row for each row of docs.
 
@@ -77,37 +130,47 @@ def near_copies(docs: DataFrame, *, least: float = LEAST, bands: int = BANDS, ro
     own = texts.join(first.filter("row = rep").select("row"), "row", "left_semi")
     members = own.select("row", F.explode("bands").alias("bucket"))
     shared = members.groupBy("bucket").agg(F.count("*").alias("k")).filter("k > 1")
-    members = stored(members.join(shared, "bucket", "left_semi"), "buckets").withColumn("component", F.col("row"))
-    members = members.withColumn("hub", F.lit(-1).cast("long"))
+    members = stored(members.join(shared, "bucket"), "buckets")
+    central = members.groupBy("row").agg(F.sum("k").alias("weight"))
+    members = stored(members.join(central, "row").select("bucket", "row", "weight", F.col("row").alias("component"), F.lit(False).alias("was_hub")), "buckets")
     links, tested, found = None, None, None
-    for step in range(HUB_ROUNDS + 1):
-        if step < HUB_ROUNDS:
-            hubs = members.filter("row > hub").groupBy("bucket").agg(F.min(F.struct("row", "component")).alias("h"))
-            hubs = hubs.select("bucket", F.col("h.row").alias("a"), F.col("h.component").alias("ca"))
-            met = members.join(hubs, "bucket").filter("row > a and component <> ca").select("a", F.col("row").alias("b"))
-        else:
-            one = members.filter("row > hub").select("bucket", F.col("row").alias("a"), F.col("component").alias("ca"))
-            met = one.join(members.filter("row > hub"), "bucket").filter("row > a and component <> ca").select("a", F.col("row").alias("b"))
-        met = met.distinct()
-        met = stored(met if tested is None else met.join(tested, ["a", "b"], "left_anti"), "candidates")
-        tested = met if tested is None else tested.unionByName(met)
-        new = stored(verified(met, texts, least), "links")
-        any_new = not new.isEmpty()
-        links = new if links is None else links.unionByName(new)
-        if any_new:
+
+    def meet(pairs: DataFrame) -> None:
+        """Verifies new pairs and settles the components."""
+        nonlocal tested
+        pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        pairs = stored(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), "candidates")
+        tested = pairs if tested is None else tested.unionByName(pairs)
+        settle(stored(verified(pairs, texts, least), "links"))
+
+    def settle(new: DataFrame) -> None:
+        nonlocal links, found
+        if not new.isEmpty():
+            links = new if links is None else links.unionByName(new)
             found = stored(components(links), "text-components")
-        if step == HUB_ROUNDS:
-            break
-        # what is left: buckets with several components and members that were no hub yet
-        after = members.join(hubs.select("bucket", "a"), "bucket", "left").withColumn("hub", F.coalesce("a", "hub")).drop("a", "component")
+
+    def still_open(members: DataFrame) -> DataFrame:
+        """Members of buckets with several components, under their present component."""
         if found is not None:
-            after = after.join(found.withColumnRenamed("id", "row"), "row", "left").withColumn("component", F.coalesce("component", "row"))
-        else:
-            after = after.withColumn("component", F.col("row"))
-        open_ = after.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi")
-        members = stored(after.join(open_, "bucket", "left_semi"), "buckets")
+            members = members.drop("component").join(found.withColumnRenamed("id", "row"), "row", "left").withColumn("component", F.coalesce("component", "row"))
+        several = members.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi")
+        return stored(members.join(several.select("bucket"), "bucket", "left_semi"), "buckets")
+
+    for _ in range(HUB_ROUNDS):
+        hubs = members.filter("not was_hub").groupBy("bucket").agg(F.max(F.struct("weight", (-F.col("row")).alias("row"), "component")).alias("h"))
+        hubs = hubs.select("bucket", (-F.col("h.row")).alias("a"), F.col("h.component").alias("ca"))
+        both = members.join(hubs, "bucket")
+        meet(both.filter("component <> ca and not was_hub").select("a", F.col("row").alias("b")))
+        members = still_open(both.withColumn("was_hub", F.col("was_hub") | (F.col("row") == F.col("a"))).drop("a", "ca"))
         if members.isEmpty():
             break
+    rest = members.join(members.groupBy("bucket").agg(F.count("*").alias("k")), "bucket").filter("k > 1")
+    few = rest.filter(F.col("k") <= SMALL).select("bucket", "row", "component")
+    one = few.select("bucket", F.col("row").alias("a"), F.col("component").alias("ca"))
+    meet(one.join(few, "bucket").filter("a < row and component <> ca").select("a", F.col("row").alias("b")))
+    large = rest.filter(F.col("k") > SMALL).drop("k")
+    if not large.isEmpty():
+        settle(stored(linked_in_blocks(still_open(large).select("bucket", "row", "component"), texts, least), "links"))
     done = first
     if found is not None:
         done = done.join(found.withColumnRenamed("id", "rep"), "rep", "left").withColumn("class", F.coalesce("component", "rep"))
