@@ -59,6 +59,17 @@ def worker_state(key: str, make):
     return store[key]
 
 
+#: Rows that go to a Python worker at once; texts may be long, and a batch is held whole.
+BATCH_ROWS = 1_000
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Keeps Arrow batches of this session at BATCH_ROWS rows or under."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if int(spark.conf.get(key, "10000")) > BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 def only(df: DataFrame, *names: str) -> DataFrame:
     """The named columns; extra columns are left out, missing ones are an error."""
     return df.select(*[df[n] for n in names])

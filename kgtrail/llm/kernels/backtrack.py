@@ -29,7 +29,7 @@ def byte_letters() -> list[str]:
 class WordBpe:
     """Encoder and decoder for a tokenizer file of the word-end BPE kind (JSON text)."""
 
-    MAX_CACHED = 400_000
+    MAX_CACHED = 250_000
 
     def __init__(self, text: str):
         spec = json.loads(text)
@@ -98,7 +98,7 @@ class WordBpe:
                 before, left = l_age, parts[left][1]
             else:  # of equal merges the one further left goes first
                 before, right = r_age + 1, parts[right][0]
-        if len(self.stable) > 2_000_000:
+        if len(self.stable) > 300_000:
             self.stable.clear()
         self.stable[key] = fine
         return fine

@@ -88,7 +88,7 @@ class Lexicon:
         for w in {x[0] for x in words}:
             got = cache.get(w, 0)
             if got == 0:
-                if len(cache) > 300_000:
+                if len(cache) > 100_000:
                     cache.clear()
                 got = cache[w] = self.match(w)
             if got:

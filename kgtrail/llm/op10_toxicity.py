@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgtrail.llm.common import only, stored, table, worker_state
+from kgtrail.llm.common import only, small_batches, stored, table, worker_state
 from kgtrail.llm.kernels.lexicon import Lexicon, fit
 
 #: Labelled rows of each class that the lexicon is learned from, in expectation.
@@ -91,6 +91,7 @@ def learn(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> Model:
 
 
 def _scored(docs: DataFrame, model: Model, features: bool = False) -> DataFrame:
+    small_batches(docs.sparkSession)
     text = json.dumps([model.terms, model.weights])
     key = "toxicity:" + hashlib.sha256(json.dumps(model.terms).encode()).hexdigest()
 
@@ -124,6 +125,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
 
 def reject(docs: DataFrame, model: Model) -> DataFrame:
     """The rows of docs that score under 0.5, with all their columns."""
+    small_batches(docs.sparkSession)
     text = json.dumps([model.terms, model.weights])
     key = "toxicity:" + hashlib.sha256(json.dumps(model.terms).encode()).hexdigest()
 

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgtrail.llm.common import only, table, worker_state
+from kgtrail.llm.common import only, small_batches, table, worker_state
 from kgtrail.llm.kernels.backtrack import WordBpe
 
 #: Documents of a batch that are held at once with their ids.
@@ -59,6 +59,7 @@ def encode_documents(docs: DataFrame, path: str, *, form: str = "texts") -> Data
     The file is read on the driver and sent to each worker once: executors need no such file, and
     its size does not grow with the documents.
     """
+    small_batches(docs.sparkSession)
     with open(path, encoding="utf-8") as f:
         text = f.read()
     shared = docs.sparkSession.sparkContext.broadcast(text)

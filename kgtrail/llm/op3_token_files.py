@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from kgtrail.llm.common import new_path, only, table, worker_state
+from kgtrail.llm.common import new_path, only, small_batches, table, worker_state
 from kgtrail.llm.kernels import simple8b
 from kgtrail.llm.kernels.backtrack import byte_letters
 
@@ -76,6 +76,7 @@ def write_token_files(docs: DataFrame, path: str, tokenizer: str, *, end_id: int
     Parts are ranges of doc_id, so part, block and place in block give the global order without
     one task ever seeing all rows. Blocks hold whole documents and about block_ids ids.
     """
+    small_batches(docs.sparkSession)
     with open(tokenizer, encoding="utf-8") as f:
         text = f.read()
     shared = docs.sparkSession.sparkContext.broadcast(text)

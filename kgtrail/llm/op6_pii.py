@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgtrail.llm.common import only, table
+from kgtrail.llm.common import only, small_batches, table
 from kgtrail.llm.kernels import spans as kernel
 
 SPANS = "doc_id long, spans array<struct<kind:string,start:long,end:long,score:double>>"
@@ -42,6 +42,7 @@ def find(docs: DataFrame, *, digest: bool = False) -> DataFrame:
     Null text is empty and has none; rows that repeat a doc_id give a row each; a null doc_id is
     kept; an empty table gives no rows; other columns are ignored.
     """
+    small_batches(docs.sparkSession)
     rows = only(docs, "doc_id", "text").withColumn("doc_id", F.col("doc_id").cast("long"))
     return rows.mapInArrow(_digest if digest else _found, DIGEST if digest else SPANS)
 
@@ -50,6 +51,8 @@ def redact(docs: DataFrame) -> DataFrame:
     """docs with the spans in `text` replaced by their kind and `n_chars`, if there, counted anew.
     All rows and columns stay; a null text stays null."""
 
+    small_batches(docs.sparkSession)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             k = batch.schema.get_field_index("text")

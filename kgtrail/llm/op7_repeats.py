@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgtrail.llm.common import stored, table
+from kgtrail.llm.common import small_batches, stored, table
 from kgtrail.llm.kernels import phrases as kernel
 from kgtrail.llm.op2_decontaminate import sized
 
@@ -104,6 +104,7 @@ def _windows(width: int):
 def repeated_spans(texts: DataFrame, *, width: int = WIDTH, chunk: int = CHUNK, hot: int = HOT) -> DataFrame:
     """row, start, end: stretches of the texts (row, text; rows unique, texts distinct) that are
     covered by strings of `width` bytes which start at another place as well. Stretches overlap."""
+    small_batches(texts.sparkSession)
     half = (width - kernel.GRAM) // 2
     if half < kernel.GRAM:
         raise ValueError("width is too small for its triggers")

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgtrail.llm.common import stored, table, worker_state
+from kgtrail.llm.common import small_batches, stored, table, worker_state
 from kgtrail.llm.components import components
 from kgtrail.llm.kernels.darts import Darts
 from kgtrail.llm.op2_decontaminate import sized
@@ -48,6 +48,7 @@ def _signer(bands: int, rows: int):
 
 
 def signed(docs: DataFrame, bands: int, rows: int) -> DataFrame:
+    small_batches(docs.sparkSession)
     given = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("mark"), "text")
     return stored(given.mapInArrow(_signer(bands, rows), SIGNED), "signatures")
 
