@@ -52,11 +52,13 @@ def ascii_lower(c: Column) -> Column:
 
 
 def worker_state(key: str, make):
-    """State that a reused Python worker keeps between tasks."""
+    """State that a reused Python worker keeps between tasks; only the latest is kept, so that the
+    memory of a worker does not add up over the stages of a pipeline."""
     store = sys.modules.setdefault("_kgtrail_worker_state", types.ModuleType("_kgtrail_worker_state")).__dict__
-    if key not in store:
-        store[key] = make()
-    return store[key]
+    if store.get("key") != key:
+        store.pop("value", None)
+        store["value"], store["key"] = make(), key
+    return store["value"]
 
 
 #: Rows that go to a Python worker at once; texts may be long, and a batch is held whole.
