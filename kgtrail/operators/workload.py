@@ -127,4 +127,4 @@ def one_shot(train: DataFrame, *, seed: int = 0) -> DataFrame:
 
 def dataset_stats(q: DataFrame) -> DataFrame:
     """template, hops, train, dev, test."""
-    return q.groupBy("template", "hops").pivot("split", ["train", "dev", "test"]).agg(F.count("*")).fillna(0)
+    return q.groupBy("template", "hops").pivot("split", ["train", "dev", "test"]).agg(F.count(F.lit(1))).fillna(0)

@@ -12,8 +12,8 @@ from kgtrail.sources.star import CATALOGUE, declared
 
 
 def graph(spark: SparkSession, sf_dir: str) -> Graph:
-    kg = star.triples(spark, sf_dir)
-    return Graph(kg, star.entity_types(kg), star.signatures(spark), star.attributes(spark, sf_dir))
+    kg, types = star.store(spark, sf_dir)
+    return Graph(kg, types, star.signatures(spark), star.attributes(spark, sf_dir))
 
 
 def asked(spark: SparkSession, sf_dir: str, *names: str) -> DataFrame:
@@ -103,8 +103,9 @@ def sql_two(depth: int, name: str = "two", source: str = "q", exact: bool = Fals
     """Walks of up to (or exactly) `depth` hops that end by a signature of the question's type;
     needs q, kg, sigs before it. Written as a chain with the filter on its last edge."""
     lens = [depth] if exact else range(1, depth + 1)
-    ok = "exists (select 1 from sigs z where z.rel = t{i}.rel and z.tail_type = s.etype" + (" and z.head_type = split_part(t{i}.head, ':', 1))" if check == "strict" else ")")
-    return f"{name} as (" + " union all ".join(sql_chain(i, source=source, where=ok.format(i=i)) for i in lens) + ")"
+    head = " and split_part(head, ':', 1) = head_type" if check == "strict" else ""
+    fin = f"{name}_fin as materialized (select kg.head, kg.rel, kg.tail, tail_type from kg join (select distinct rel, tail_type{', head_type' if check == 'strict' else ''} from sigs) z using (rel) where tail_type in (select etype from q){head})"
+    return fin + f", {name} as (" + " union all ".join(sql_chain(i, source=source, where=f"t{i}.tail_type = s.etype", final=f"{name}_fin") for i in lens) + ")"
 
 
 #: Cosine of two token lists, as the functions module defines it.

@@ -1 +1,182 @@
-"""Queries."""
+"""Queries on iterative refinement (F-01 to F-17)."""
+
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from kgtrail.operators import metrics, rank, refine, workload
+from kgtrail.plans import pipeline, retrieve
+from kgtrail.plans.retrieve import Config
+from kgtrail.queries.common import KG, asked, gold_type, graph, sql_gold, sql_metrics, sql_questions, sql_scored, with_
+from kgtrail.registry import query
+from kgtrail.sources.shared import stored
+
+#: Templates with constraints, and one without, by depth of search.
+BY_DEPTH = {1: ("w_suppliers_in_nation",), 2: ("w_parts_in_year", "w_parts_over_size"), 3: ("w_urgent_brands", "w_customer_brands")}
+NAMES = tuple(n for ns in BY_DEPTH.values() for n in ns)
+
+
+def pool(spark, d, keep=True):
+    """(questions, ranked pool with ok, graph)"""
+    q, g = asked(spark, d, *NAMES), graph(spark, d)
+    paths = None
+    for depth, names in BY_DEPTH.items():
+        some = q.filter(F.col("template").isin(*names))
+        rows = retrieve.bidirectional(some, gold_type(some), g.triples, g.entity_types, g.signatures, Config(depth=depth))
+        paths = rows if paths is None else paths.unionByName(rows)
+    p0 = rank.top_k(paths, q, k=256)
+    p0 = stored(p0.join(refine.satisfied(p0, q, g.facts), ["qid", "path_key"]), "pool")
+    return q, p0, g
+
+
+#: The same pool in SQL: chains of the templates' own relations, each with whether it meets the
+#: constraint, from raw tables.
+CHAINS = """chains as (
+ select qid, template, 1 len, t1.rel rels, t1.tail tail, topic || '|' || t1.rel || '|' || t1.tail path_key, t1.tail n1 from q join kg t1 on t1.head = topic where template = 'w_suppliers_in_nation' and t1.rel = 'part.suppliers'
+ union all select qid, template, 2, t1.rel || '>' || t2.rel, t2.tail, topic || '|' || t1.rel || '|' || t1.tail || '|' || t2.rel || '|' || t2.tail, t1.tail from q join kg t1 on t1.head = topic join kg t2 on t2.head = t1.tail
+  where template in ('w_parts_in_year', 'w_parts_over_size') and t2.rel in ('order.parts', 'supplier.parts', 'brand.parts', 'category.parts')
+ union all select qid, template, 3, t1.rel || '>' || t2.rel || '>' || t3.rel, t3.tail, topic || '|' || t1.rel || '|' || t1.tail || '|' || t2.rel || '|' || t2.tail || '|' || t3.rel || '|' || t3.tail, t1.tail from q join kg t1 on t1.head = topic join kg t2 on t2.head = t1.tail join kg t3 on t3.head = t2.tail
+  where template in ('w_urgent_brands', 'w_customer_brands') and t3.rel = 'part.brand'),
+marked as (select c.*, case template when 'w_customer_brands' then true
+  when 'w_suppliers_in_nation' then tail in (select 'supplier:' || s_suppkey from supplier join nation on s_nationkey = n_nationkey join region on n_regionkey = r_regionkey where r_name = 'ASIA')
+  when 'w_parts_in_year' then n1 in (select 'order:' || o_orderkey from orders where year(o_orderdate) = 1997)
+  when 'w_parts_over_size' then tail in (select 'part:' || p_partkey from part where p_size > 40)
+  else n1 in (select 'order:' || o_orderkey from orders where o_orderpriority = '1-URGENT') end ok from chains c)"""
+POOL = ", ".join([KG, sql_questions(*NAMES), CHAINS, sql_scored("marked"), "p0 as (select *, row_number() over (partition by qid order by score desc, len, path_key) rank from scored)"])
+#: s1: scores over all paths; s2: over supported paths; sup: whether the answer is supported.
+ANSWERS = """ans as (select qid, tail answer, bool_or(ok) sup, bool_or(not ok) vio, round(max(score) + 0.01 * ln(1 + count(*)), 6) s1, round(max(case when ok then score end) + 0.01 * ln(1 + count(case when ok then 1 end)), 6) s2 from p0 group by 1, 2),
+sums as (select qid, count(*) n, count(case when sup then 1 end) n_sup, bool_or(sup and vio) conflict from ans group by 1)"""
+Y1 = "string_agg(answer, ',' order by s1 desc, answer)"
+FINAL = """fin as (select a.qid, n, n_sup, case when n_sup = n then 1 else 2 end rounds, case when n_sup > 0 then 3 else 1 end confidence,
+ case when n_sup = n then string_agg(answer, ',' order by s1 desc, answer) when n_sup > 0 then string_agg(answer, ',' order by s2 desc, answer) filter (sup) else string_agg(answer, ',' order by s1 desc, answer) end y_ref,
+ case when n_sup > 0 then string_agg(answer, ',' order by s2 desc, answer) filter (sup) else string_agg(answer, ',' order by s1 desc, answer) end y_fixed
+ from ans a join sums using (qid) group by a.qid, n, n_sup)"""
+
+
+def _text(c):
+    return F.concat_ws(",", c)
+
+
+def _first(spark, d, margin=1.0):
+    q, p0, g = pool(spark, d)
+    empty = F.array().cast("array<string>")
+    ctx = p0.select("qid").distinct().select("qid", empty.alias("kept"), empty.alias("forbidden"))
+    return q, p0, g, refine.RuleGenerator(margin).generate(ctx, p0)
+
+
+def _state(spark, d):
+    q, p0, g, gen = _first(spark, d)
+    state = gen.join(refine.RuleRefiner(g.facts).judge(q, p0, gen), "qid")
+    return q, p0, g, state.withColumn("y_ref", refine.post(F.col("y_gen"), F.col("verdict")))
+
+
+@query("gen_round1", with_(POOL, ANSWERS, then=f"select qid, {Y1} y_gen from ans group by qid"))
+def _(spark, d):
+    return _first(spark, d)[3].select("qid", _text("y_gen").alias("y_gen"))
+
+
+@query("refine_subset", with_(POOL, ANSWERS, then="select qid, path_key from p0 join (select qid, answer tail from (select *, max(s1) over (partition by qid) top from ans) where s1 >= top - 0.005) using (qid, tail)"))
+def _(spark, d):
+    _, p0, _, gen = _first(spark, d, 0.005)
+    return refine.select_paths(p0, gen).select("qid", "path_key")
+
+
+ISSUE = "case when n_sup = 0 then 'no_support' when conflict then 'conflict' when n_sup < n then 'answer_noise' else 'none' end"
+CONF = "case when n_sup = 0 then 1 when n_sup = n then 3 else 2 end"
+
+
+@query("refiner_verdict", with_(POOL, ANSWERS, then=f"""select s.qid, {CONF} confidence, {ISSUE} issue, coalesce(string_agg(answer, ',' order by answer) filter (sup), '') retained, coalesce(string_agg(answer, ',' order by answer) filter (not sup and n_sup > 0), '') forbidden,
+ n_ok n_prioritized, case when n_sup > 0 then n_not else 0 end n_dropped, 0 n_supplementary from sums s join ans using (qid) join (select qid, count(case when ok then 1 end) n_ok, count(case when not ok then 1 end) n_not from p0 group by 1) using (qid)
+ group by s.qid, n, n_sup, conflict, n_ok, n_not"""))
+def _(spark, d):
+    v = F.col("verdict")
+    n = lambda c: F.size(v[c]).cast("long").alias(f"n_{c}")
+    return _state(spark, d)[3].select("qid", v["confidence"].alias("confidence"), v["issue"].alias("issue"), _text(v["retained"]).alias("retained"), _text(v["forbidden"]).alias("forbidden"), n("prioritized"), n("dropped"), F.size(v["supplementary"]).alias("n_supplementary"))
+
+
+@query("post_refine", with_(POOL, ANSWERS, then=f"select qid, case when n_sup > 0 then string_agg(answer, ',' order by s1 desc, answer) filter (sup) else {Y1} end y_ref from ans join sums using (qid) group by qid, n_sup"))
+def _(spark, d):
+    return _state(spark, d)[3].select("qid", _text("y_ref").alias("y_ref"))
+
+
+@query("path_context_round2", with_(POOL, ANSWERS, then="""select qid, path_key, case when n_sup > 0 then 0 else 1 end tier, cast(row_number() over (partition by qid order by rank) as int) place from p0 join sums using (qid) where ok or n_sup = 0"""))
+def _(spark, d):
+    _, p0, _, state = _state(spark, d)
+    return refine.update_paths(p0, state).select("qid", "path_key", "tier", "place")
+
+
+@query("answer_context_round2", with_(POOL, ANSWERS, then="select qid, coalesce(string_agg(answer, ',' order by answer) filter (sup), '') kept, coalesce(string_agg(answer, ',' order by answer) filter (not sup and n_sup > 0), '') forbidden from ans join sums using (qid) group by qid"))
+def _(spark, d):
+    return refine.update_answers(_state(spark, d)[3]).select("qid", _text("kept").alias("kept"), _text("forbidden").alias("forbidden"))
+
+
+@query("stop_confidence", with_(POOL, ANSWERS, then="select qid, n_sup = n stop from sums"))
+def _(spark, d):
+    none = F.lit(None).cast("array<string>")
+    return _state(spark, d)[3].select("qid", refine.should_stop(F.col("verdict"), F.col("y_ref"), none).alias("stop"))
+
+
+@query("stop_stable", with_(POOL, ANSWERS, then="select qid, true stop from sums"))
+def _(spark, d):
+    low = F.struct(F.lit(1).alias("confidence"))
+    return _state(spark, d)[3].select("qid", refine.should_stop(low, F.col("y_ref"), F.reverse(F.array_sort("y_ref"))).alias("stop"))
+
+
+def loop(spark, d, **options):
+    q, p0, g = pool(spark, d)
+    return q, refine.run(q, p0, refine.RuleGenerator(), refine.RuleRefiner(g.facts), **options)
+
+
+_LEFT = "left join fin using (qid)"
+
+
+@query("refined_answers", with_(POOL, ANSWERS, FINAL, then=f"select qid, coalesce(y_ref, '') y_ref, coalesce(rounds, 0) rounds, coalesce(confidence, 0) confidence from (select qid from q) {_LEFT}"))
+def _(spark, d):
+    return loop(spark, d)[1].select("qid", _text("y_ref").alias("y_ref"), "rounds", "confidence")
+
+
+@query("refined_fixed3", with_(POOL, ANSWERS, FINAL, then=f"select qid, coalesce(y_fixed, '') y_ref, case when n is null then 0 else 3 end rounds, coalesce(confidence, 0) confidence from (select qid from q) {_LEFT}"))
+def _(spark, d):
+    return loop(spark, d, adaptive=False)[1].select("qid", _text("y_ref").alias("y_ref"), "rounds", "confidence")
+
+
+@query("single_pass", with_(POOL, ANSWERS, then=f"select q.qid, coalesce(y, '') y_ref, case when y is null then 0 else 1 end rounds from q left join (select qid, {Y1} y from ans group by qid) a on a.qid = q.qid"))
+def _(spark, d):
+    return loop(spark, d, max_rounds=0)[1].select("qid", _text("y_ref").alias("y_ref"), "rounds")
+
+
+@query("verdict_parse", """select r_regionkey, case r_regionkey when 0 then 2 when 1 then 1 when 2 then 1 when 3 then 3 else 1 end confidence, case r_regionkey when 0 then 'answer_noise' when 1 then 'unreadable' when 2 then 'unreadable' when 3 then 'none' else 'unreadable' end issue,
+ case r_regionkey when 0 then 'a,b' when 3 then 'c' else '' end retained from region""")
+def _(spark, d):
+    from kgtrail.sources.star import table
+
+    k = F.col("r_regionkey")
+    reply = F.when(k == 0, '{"confidence": 2, "issue": "answer_noise", "retained": ["a", "b"], "forbidden": ["x"]}').when(k == 1, "I think a is right.").when(k == 2, '{"confidence": 9, "retained": ["a"]}').when(k == 3, '{"confidence": 3, "retained": ["c"]}').otherwise(F.lit(None).cast("string"))
+    return table(spark, d, "region").select("r_regionkey", refine.parse_reply(reply).alias("v")).select("r_regionkey", "v.confidence", "v.issue", _text("v.retained").alias("retained"))
+
+
+#: f1 of the refined sets and of the single pass.
+PREDS = """ref as (select qid, answer, case when n_sup = n then row_number() over (partition by qid order by s1 desc, answer) when n_sup > 0 then row_number() over (partition by qid order by s2 desc nulls last, answer) else row_number() over (partition by qid order by s1 desc, answer) end rank from ans join sums using (qid) where sup or n_sup = 0),
+one as (select qid, answer, row_number() over (partition by qid order by s1 desc, answer) rank from ans)"""
+MEASURED = ", ".join([POOL, sql_gold(*NAMES), ANSWERS, FINAL, PREDS, sql_metrics("ref", "per_ref"), sql_metrics("one", "per_one")])
+
+
+def measured(spark, d, q, runs):
+    return metrics.per_question(q, metrics.ranked(runs), workload.gold(spark, d, q))
+
+
+@query("pick_rounds", with_(MEASURED, then="select 1 rounds, round(avg(f1), 6) f1 from per_ref"))
+def _(spark, d):
+    rows = None
+    for t in (1, 2):
+        q, runs = loop(spark, d, max_rounds=t, adaptive=False)
+        one = measured(spark, d, q, runs).agg(F.round(F.avg("f1"), 6).alias("f1")).withColumn("t", F.lit(t))
+        rows = one if rows is None else rows.unionByName(one)
+    return refine.pick_rounds(rows)
+
+
+@query("pipeline_end_to_end", with_(POOL, ANSWERS, FINAL, then=f"select qid, coalesce(y_ref, '') answers, coalesce(rounds, 0) rounds from (select qid from q where template in ('w_urgent_brands', 'w_customer_brands')) {_LEFT}"))
+def _(spark, d):
+    q = asked(spark, d, *BY_DEPTH[3])
+    runs = pipeline.answer(q, gold_type(q), graph(spark, d), Config(depth=3))
+    return runs.select("qid", _text("y_ref").alias("answers"), "rounds")

@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import uuid
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from kgtrail.sources.shared import shared_dir
+
 
 @dataclass(frozen=True)
 class Relation:
@@ -61,6 +64,25 @@ def triples(spark: SparkSession, sf_dir: str, *, inverses: bool = True) -> DataF
     return out
 
 
+_stores: dict[tuple[str, str], tuple[str, str]] = {}
+
+
+def store(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    """(triples, entity types) from a store that is laid out once per application and source: the
+    triples partitioned by relation, so that a search reads only the relations it may take."""
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in _stores:
+        base = f"{shared_dir(spark)}/kgtrail/star-{uuid.uuid4().hex}"
+        kg = triples(spark, sf_dir)
+        kg.write.partitionBy("rel").parquet(f"{base}/triples")
+        found = spark.read.schema("head string, tail string, rel string").parquet(f"{base}/triples")
+        entity_types(found).write.parquet(f"{base}/types")
+        _stores[key] = (f"{base}/triples", f"{base}/types")
+    at = _stores[key]
+    kg = spark.read.schema("head string, tail string, rel string").parquet(at[0]).select("head", "rel", "tail")
+    return kg, spark.read.schema("entity string, etype string").parquet(at[1])
+
+
 def declared() -> list[tuple[str, str, str]]:
     """(relation, domain, range) of all relations, inverses included."""
     found = []
