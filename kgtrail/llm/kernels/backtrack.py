@@ -26,6 +26,10 @@ def byte_letters() -> list[str]:
     return [chr(b) if b in shown else chr(next(rest)) for b in range(256)]
 
 
+#: Unicode white space, which Python's \\s exceeds by the separators U+001C to U+001F.
+SPACES = re.compile("[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]+")
+
+
 class WordBpe:
     """Encoder and decoder for a tokenizer file of the word-end BPE kind (JSON text)."""
 
@@ -67,7 +71,8 @@ class WordBpe:
         self.machine.make_automaton()
         self.special = {x["content"]: x["id"] for x in spec["added_tokens"]}
         self.split = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
-        self.pieces = regex.compile(next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")).findall
+        pattern = next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
+        self.pieces = regex.compile(pattern.replace(r"\s", r"\p{White_Space}")).findall
         self.stable: dict[tuple[int, int], bool] = {}
         self.cache: dict[str, bytes] = {}
         names = {i: t for t, i in [*vocab.items(), *self.special.items()]}
@@ -149,7 +154,7 @@ class WordBpe:
             if not part:
                 continue
             # the library lowers character by character, so no final sigma
-            part = re.sub(r"\s+", " ", unicodedata.normalize("NFC", part)).replace("Σ", "σ").lower()
+            part = SPACES.sub(" ", unicodedata.normalize("NFC", part)).replace("Σ", "σ").lower()
             for piece in self.pieces(part):
                 got = cache.get(piece)
                 if got is None:

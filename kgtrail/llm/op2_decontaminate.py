@@ -77,7 +77,7 @@ def postings(docs: DataFrame, pairs: DataFrame, slop: int = 0, keep: tuple[str,
         second = F.exists(near, lambda x: F.lower(x) == F.col("key2"))
     else:
         second = F.lower(F.get("ws", at)) == F.col("key2")
-    hits = each.join(probe, "key").filter((F.col("pos") >= F.col("off")) & second)
+    hits = each.join(probe, "key").filter((F.col("pos") + slop >= F.col("off")) & second)
     start = F.col("pos") - F.col("off")
     first = F.greatest(start - slop, F.lit(0))
     around = F.transform(F.slice("ws", first + 1, F.col("len") + start - first + slop), ascii_lower)
