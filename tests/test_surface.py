@@ -85,7 +85,7 @@ def test_relation_filter_drops_whole_branches(spark, sf):
 def test_retrieval_plan(spark, sf):
     q, g = asked(spark, sf, "w_customer_brands"), star_graph(spark, sf)
     text = plan(retrieve.bidirectional(q, gold_type(q), g.triples, g.entity_types, g.signatures, Config(depth=3)))
-    assert "BroadcastHashJoin" in text and "CartesianProduct" not in text and "Python" not in text
+    assert "BroadcastHashJoin" in text and "CartesianProduct" not in text and "EvalPython" not in text
 
 
 def test_budget_is_a_group_limit(spark, sf):
