@@ -33,7 +33,7 @@ SPACES = re.compile("[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\
 class WordBpe:
     """Encoder and decoder for a tokenizer file of the word-end BPE kind (JSON text)."""
 
-    MAX_CACHED = 250_000
+    MAX_CACHED = 400_000
 
     def __init__(self, text: str):
         spec = json.loads(text)
@@ -73,7 +73,7 @@ class WordBpe:
         self.split = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         pattern = next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
         self.pieces = regex.compile(pattern.replace(r"\s", r"\p{White_Space}")).findall
-        self.stable: dict[tuple[int, int], bool] = {}
+        self.stable: dict[int, bool] = {}
         self.cache: dict[str, bytes] = {}
         names = {i: t for t, i in [*vocab.items(), *self.special.items()]}
         top = max(names) + 1
@@ -84,7 +84,7 @@ class WordBpe:
         """True if the merges, run over the two tokens' symbols, leave the border between them.
         The tokens facing each other across the border are followed back in time: the younger one
         is undone first, and a pair that would have merged before that moment breaks the border."""
-        key = (left, right)
+        key = left << 32 | right
         known = self.stable.get(key)
         if known is not None:
             return known
@@ -103,7 +103,7 @@ class WordBpe:
                 before, left = l_age, parts[left][1]
             else:  # of equal merges the one further left goes first
                 before, right = r_age + 1, parts[right][0]
-        if len(self.stable) > 300_000:
+        if len(self.stable) > 800_000:
             self.stable.clear()
         self.stable[key] = fine
         return fine
