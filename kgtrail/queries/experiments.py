@@ -13,6 +13,7 @@ from kgtrail.queries.common import KG, SIGS, asked, gold_type, graph, path_rows,
 from kgtrail.queries.refinement import ANSWERS, FINAL, MEASURED, NAMES, POOL, loop, measured, pool
 from kgtrail.registry import query
 from kgtrail.sources import light
+from kgtrail.sources.shared import stored
 from kgtrail.sources.star import table
 
 B3 = "w_customer_brands"
@@ -91,7 +92,7 @@ def _(spark, d):
     q = asked(spark, d, *BR)
     train = workload.one_shot(workload.questions(spark, d, [*BR, "w_customer_orders", "w_customer_nation"], step=7).filter("split = 'train'"))
     model = typepredict.NaiveBayes().fit(train, train.select("qid", "etype", F.lit(1.0).alias("q")))
-    _, p0 = _br(spark, d, BR, 2, lambda x: typepredict.predict(model.scores(x)))
+    _, p0 = _br(spark, d, BR, 2, lambda x: stored(typepredict.predict(model.scores(x)), "types"))
     return metrics.summary(metrics.per_question(q, pipeline.retrieval_only(p0), workload.gold(spark, d, q)))
 
 
@@ -159,8 +160,12 @@ def _(spark, d):
     models = {"bayes": typepredict.NaiveBayes().fit(train, target), "nearest": typepredict.Nearest(3).fit(train, target), "oracle": typepredict.Oracle(q.select("qid", "etype", F.lit(1.0).alias("q")))}
     out = None
     for name, model in models.items():
+        pred = stored(typepredict.predict(model.scores(q)).select("qid", "etype"), "types")  # read several times by a search
+        p0 = stored(pipeline.pool(q, pred, g, Config(depth=2)), "pool")
+        p0 = stored(p0.join(refine.satisfied(p0, q, g.facts), ["qid", "path_key"]), "pool")
+        typed = q.drop("etype").join(pred, "qid", "left")
         for margin in (0.005, 1.0):
-            runs = pipeline.answer(q, typepredict.predict(model.scores(q)), g, Config(depth=2), margin=margin)
+            runs = refine.run(typed, p0, refine.RuleGenerator(margin), refine.RuleRefiner(g.facts))
             one = metrics.summary(metrics.per_question(q, metrics.ranked(runs), gold)).select(F.lit(name).alias("predictor"), F.lit(margin).alias("margin"), "hit1", "f1")
             out = one if out is None else out.unionByName(one)
     return out
