@@ -5,23 +5,26 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from kgtrail.sources.shared import stored
+
 
 def shortest_paths(q: DataFrame, gold: DataFrame, kg: DataFrame, *, max_len: int, ties: str = "all") -> DataFrame:
     """qid, answer, len, rels: relation sequences of the shortest paths from topic to each gold
     answer. A breadth-first search by levels over distinct (node, sequence); nodes seen at an
-    earlier level are not entered again, as no shortest path passes them later."""
+    earlier level are not entered again, as no shortest path passes them later. Each level is written
+    once, as the next reads it several times."""
     front = q.select("qid", F.col("topic").alias("v"), F.array().cast("array<string>").alias("rels"))
     seen = front.select("qid", "v")
-    open_ = gold.select("qid", "answer").distinct()
+    open_ = stored(gold.select("qid", "answer").distinct(), "open")
     out = None
     for i in range(1, max_len + 1):
         live = front.join(open_.select("qid").distinct(), "qid", "left_semi")
         front = live.join(kg, live["v"] == kg["head"]).select("qid", F.col("tail").alias("v"), F.concat("rels", F.array("rel")).alias("rels")).distinct()
-        front = front.join(seen, ["qid", "v"], "left_anti")
+        front = stored(front.join(seen, ["qid", "v"], "left_anti"), "level")
         hit = front.join(open_, (front["qid"] == open_["qid"]) & (front["v"] == open_["answer"])).select(front["qid"], "answer", F.lit(i).alias("len"), "rels")
         out = hit if out is None else out.unionByName(hit)
         if i < max_len:
-            open_ = open_.join(hit.select("qid", "answer").distinct(), ["qid", "answer"], "left_anti")
+            open_ = stored(open_.join(hit.select("qid", "answer").distinct(), ["qid", "answer"], "left_anti"), "open")
             seen = seen.unionByName(front.select("qid", "v").distinct())
     if ties == "first":
         return out.groupBy("qid", "answer", "len").agg(F.min("rels").alias("rels"))

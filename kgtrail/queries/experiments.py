@@ -231,9 +231,9 @@ def _(spark, d):
 @query("tradeoff_rounds", with_(MEASURED, then="""select mode, round(avg(case mode when 'adaptive' then coalesce(rounds, 0) when 'fixed1' then case when rounds is null then 0 else 1 end else case when rounds is null then 0 else 3 end end), 6) mean_rounds, round(avg(f1), 6) f1
  from (select unnest(['adaptive', 'fixed1', 'fixed3']) as mode) cross join q join per_ref using (qid) left join fin using (qid) group by mode"""))
 def _(spark, d):
-    out = None
+    out, made = None, pool(spark, d)
     for mode, options in (("adaptive", {}), ("fixed1", {"max_rounds": 1}), ("fixed3", {"adaptive": False})):
-        q, runs = loop(spark, d, **options)
+        q, runs = loop(spark, d, made, **options)
         one = runs.agg(F.round(F.avg("rounds"), 6).alias("mean_rounds")).crossJoin(measured(spark, d, q, runs).agg(F.round(F.avg("f1"), 6).alias("f1"))).select(F.lit(mode).alias("mode"), "mean_rounds", "f1")
         out = one if out is None else out.unionByName(one)
     return out
@@ -241,8 +241,9 @@ def _(spark, d):
 
 @query("gain_by_category", with_(MEASURED, then="select category, round(avg(a.f1), 6) f1_first, round(avg(b.f1), 6) f1_last, round(100 * (avg(b.f1) - avg(a.f1)), 4) gain from q join per_one a using (qid) join per_ref b using (qid) group by category"))
 def _(spark, d):
-    q, first = loop(spark, d, max_rounds=0)
-    _, last = loop(spark, d)
+    made = pool(spark, d)
+    q, first = loop(spark, d, made, max_rounds=0)
+    _, last = loop(spark, d, made)
     return metrics.gain_by_category(q, measured(spark, d, q, first), measured(spark, d, q, last))
 
 

@@ -24,7 +24,7 @@ def pool(spark, d, keep=True):
         some = q.filter(F.col("template").isin(*names))
         rows = retrieve.bidirectional(some, gold_type(some), g.triples, g.entity_types, g.signatures, Config(depth=depth))
         paths = rows if paths is None else paths.unionByName(rows)
-    p0 = rank.top_k(paths, q, k=256)
+    p0 = stored(rank.top_k(paths, q, k=256), "ranked")
     p0 = stored(p0.join(refine.satisfied(p0, q, g.facts), ["qid", "path_key"]), "pool")
     return q, p0, g
 
@@ -122,8 +122,9 @@ def _(spark, d):
     return _state(spark, d)[3].select("qid", refine.should_stop(low, F.col("y_ref"), F.reverse(F.array_sort("y_ref"))).alias("stop"))
 
 
-def loop(spark, d, **options):
-    q, p0, g = pool(spark, d)
+def loop(spark, d, made=None, **options):
+    """(questions, runs); made is a pool that several runs share."""
+    q, p0, g = made or pool(spark, d)
     return q, refine.run(q, p0, refine.RuleGenerator(), refine.RuleRefiner(g.facts), **options)
 
 
@@ -167,9 +168,9 @@ def measured(spark, d, q, runs):
 
 @query("pick_rounds", with_(MEASURED, then="select 1 rounds, round(avg(f1), 6) f1 from per_ref"))
 def _(spark, d):
-    rows = None
+    rows, made = None, pool(spark, d)
     for t in (1, 2):
-        q, runs = loop(spark, d, max_rounds=t, adaptive=False)
+        q, runs = loop(spark, d, made, max_rounds=t, adaptive=False)
         one = measured(spark, d, q, runs).agg(F.round(F.avg("f1"), 6).alias("f1")).withColumn("t", F.lit(t))
         rows = one if rows is None else rows.unionByName(one)
     return refine.pick_rounds(rows)
