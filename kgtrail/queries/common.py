@@ -20,6 +20,11 @@ def asked(spark: SparkSession, sf_dir: str, *names: str) -> DataFrame:
     return workload.questions(spark, sf_dir, list(names))
 
 
+def every(spark: SparkSession, sf_dir: str, *names: str) -> DataFrame:
+    """Questions about every topic of the templates, where asked() takes about ten of each."""
+    return workload.questions(spark, sf_dir, list(names), step=1)
+
+
 def gold_type(q: DataFrame) -> DataFrame:
     return q.select("qid", "etype")
 

@@ -9,7 +9,7 @@ from kgtrail.functions.text import token_cosine, tokens
 from kgtrail.operators import baselines, metrics, ontology, rank, refine, supervision, typepredict, workload
 from kgtrail.plans import expand, pipeline, retrieve
 from kgtrail.plans.retrieve import Config
-from kgtrail.queries.common import KG, SIGS, asked, gold_type, graph, path_rows, sql_chain, sql_cosine, sql_forward, sql_gold, sql_metrics, sql_questions, sql_scored, sql_summary, sql_tokens, sql_two, with_
+from kgtrail.queries.common import KG, SIGS, asked, every, gold_type, graph, path_rows, sql_chain, sql_cosine, sql_forward, sql_gold, sql_metrics, sql_questions, sql_scored, sql_summary, sql_tokens, sql_two, with_
 from kgtrail.queries.refinement import ANSWERS, FINAL, MEASURED, NAMES, POOL, loop, measured, pool
 from kgtrail.registry import query
 from kgtrail.sources import light
@@ -279,7 +279,7 @@ for _t in workload.TEMPLATES:
 
     @query(_t.name, with_(sql_questions(_t.name), sql_gold(_t.name), then="select qid, text, split, answer from q join gold using (qid)"))
     def _(spark, d, n=_t.name):
-        q = asked(spark, d, n)
+        q = every(spark, d, n)
         return q.select("qid", "text", "split").join(workload.gold(spark, d, q), "qid")
 
 
