@@ -90,7 +90,7 @@ def _(spark, d):
 def _(spark, d):
     """One training question per template is enough for the native predictor to name these types."""
     q = asked(spark, d, *BR)
-    train = workload.one_shot(workload.questions(spark, d, [*BR, "w_customer_orders", "w_customer_nation"], step=7).filter("split = 'train'"))
+    train = workload.one_shot(workload.questions(spark, d, [*BR, "w_customer_orders", "w_customer_nation"], step=1).filter("split = 'train'"))
     model = typepredict.NaiveBayes().fit(train, train.select("qid", "etype", F.lit(1.0).alias("q")))
     _, p0 = _br(spark, d, BR, 2, lambda x: stored(typepredict.predict(model.scores(x)), "types"))
     return metrics.summary(metrics.per_question(q, pipeline.retrieval_only(p0), workload.gold(spark, d, q)))
@@ -155,7 +155,7 @@ def _(spark, d):
     """Predictors by generator margins: hit1, f1 of the refined answers."""
     q, g = asked(spark, d, *BR), graph(spark, d)
     gold = workload.gold(spark, d, q)
-    train = workload.questions(spark, d, [*BR, "w_customer_orders", "w_customer_nation", B3], step=7).filter("split = 'train'")
+    train = workload.questions(spark, d, [*BR, "w_customer_orders", "w_customer_nation", B3], step=1).filter("split = 'train'")
     target = train.select("qid", "etype", F.lit(1.0).alias("q"))
     models = {"bayes": typepredict.NaiveBayes().fit(train, target), "nearest": typepredict.Nearest(3).fit(train, target), "oracle": typepredict.Oracle(q.select("qid", "etype", F.lit(1.0).alias("q")))}
     out = None
@@ -264,7 +264,7 @@ _MANY = ("w_customer_nation", "w_customer_region", B3, "w_part_brand")
 
 @query("dataset_stats", with_(sql_questions(*_MANY).replace("(select greatest(1, count(*) // 10) from customer)", "7").replace("(select greatest(1, count(*) // 10) from part)", "7"), then="select template, hops, count(case when split = 'train' then 1 end) train, count(case when split = 'dev' then 1 end) dev, count(case when split = 'test' then 1 end) test from q group by 1, 2"))
 def _(spark, d):
-    return workload.dataset_stats(workload.questions(spark, d, list(_MANY), step=7))
+    return workload.dataset_stats(workload.questions(spark, d, list(_MANY), step=1))
 
 
 @query("gold_reachable", with_(KG, sql_questions(REGION), sql_gold(REGION), sql_forward(2), then="select qid, answer from gold where (qid, answer) not in (select qid, tail from fwd)"))

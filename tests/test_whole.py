@@ -12,6 +12,9 @@ load()
 TENTHS = [(f"(select greatest(1, count(*) // 10) from {t})", "1") for t in ("customer", "part")]
 
 
+SEVENTHS = [(f"{t} where {k} % 7 = 0", t) for t, k in (("customer", "c_custkey"), ("part", "p_partkey"))]
+
+
 def norm(v):
     return f"{v:.9g}" if isinstance(v, float) or type(v).__name__ == "Decimal" else str(v)
 
@@ -36,3 +39,16 @@ def against(spark, sf, key, cuts):
 @pytest.mark.parametrize("name", [t.name for t in workload.TEMPLATES])
 def test_templates_ask_about_all_topics(spark, sf, name):
     against(spark, sf, name, TENTHS)
+
+
+@pytest.mark.parametrize("key", ["dataset_stats", "oneshot_sample", "type_top_m", "type_chain_logp", "type_accuracy", "type_cross_entropy", "type_knn_predict"])
+def test_statistics_and_predictors_take_all_questions(spark, sf, key):
+    against(spark, sf, key, SEVENTHS)
+
+
+@pytest.mark.parametrize("key", ["br_oneshot", "backbone_grid"])
+def test_predictors_are_trained_on_all_questions(spark, sf, key, monkeypatch):
+    made, ask = [], workload.questions
+    monkeypatch.setattr(workload, "questions", lambda *a, **b: made.append(ask(*a, **b)) or made[-1])
+    queries()[key](spark, sf)
+    assert max(q.filter("template = 'w_customer_nation'").count() for q in made) == 150
