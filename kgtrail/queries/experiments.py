@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from kgtrail.functions.text import token_cosine, tokens
+from kgtrail.functions.text import tokens
 from kgtrail.operators import baselines, metrics, ontology, rank, refine, supervision, typepredict, workload
 from kgtrail.plans import expand, pipeline, retrieve
 from kgtrail.plans.retrieve import Config
@@ -340,9 +340,20 @@ def _(spark, d):
 
 @query("w_text_similarity", f"select a.conv_id, a.turn, b.item_id, sim from (select conv_id, turn, {sql_tokens('text')} x from conversations where role = 'user' and conv_id % 10 = 0) a, (select item_id, {sql_tokens('text')} y from benchmark where item_id < 20) b, lateral (select {sql_cosine('x', 'y')} sim) where sim >= 0.3")
 def _(spark, d):
-    a = table(spark, d, "conversations").filter("role = 'user' and conv_id % 10 = 0").select("conv_id", "turn", tokens(F.col("text")).alias("x"))
-    b = table(spark, d, "benchmark").filter("item_id < 20").select("item_id", tokens(F.col("text")).alias("y"))
-    return a.crossJoin(F.broadcast(b)).select("conv_id", "turn", "item_id", token_cosine(F.col("x"), F.col("y")).alias("sim")).filter("sim >= 0.3")
+    """All user turns against all benchmark items that share a word with them."""
+    a = _term_index(table(spark, d, "conversations").filter("role = 'user'"), "conv_id", "turn")
+    b = _term_index(table(spark, d, "benchmark"), "item_id")
+    met = a.join(b.withColumnsRenamed({"row": "row_b", "size": "size_b", "n": "n_b"}), "w")
+    dots = met.groupBy("row", "row_b", "conv_id", "turn", "item_id", "size", "size_b").agg(F.sum(F.col("n") * F.col("n_b")).alias("dot"))
+    return dots.select("conv_id", "turn", "item_id", F.round(F.col("dot") / (F.col("size") * F.col("size_b")), 6).alias("sim")).filter("sim >= 0.3")
+
+
+def _term_index(texts, *ids):
+    """row, ids, size, w, n: the distinct words of each text with their counts, and its norm."""
+    counted = F.transform(F.array_distinct("x"), lambda w: F.struct(w.alias("w"), F.size(F.filter("x", lambda y: y == w)).alias("n")))
+    rows = texts.select(F.monotonically_increasing_id().alias("row"), *ids, tokens(F.col("text")).alias("x")).select("row", *ids, counted.alias("ws"))
+    size = F.sqrt(F.aggregate("ws", F.lit(0), lambda acc, w: acc + w["n"] * w["n"]).cast("double"))
+    return rows.select("row", *ids, size.alias("size"), F.explode("ws").alias("v")).select("row", *ids, "size", "v.*")
 
 
 @query("w_vector_rank", """

@@ -52,3 +52,7 @@ def test_predictors_are_trained_on_all_questions(spark, sf, key, monkeypatch):
     monkeypatch.setattr(workload, "questions", lambda *a, **b: made.append(ask(*a, **b)) or made[-1])
     queries()[key](spark, sf)
     assert max(q.filter("template = 'w_customer_nation'").count() for q in made) == 150
+
+
+def test_text_similarity_of_all_turns_and_items(spark, sf):
+    against(spark, sf, "w_text_similarity", [(" and conv_id % 10 = 0", ""), (" where item_id < 20", "")])
