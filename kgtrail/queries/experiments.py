@@ -306,7 +306,7 @@ def _docs_of(spark, d, m, etype):
 @query("w_light_1hop", "select cast(doc_id as bigint) qid, 1 len, lang tail, count(*) n from documents where doc_id % 100 in (0, 1, 2) and doc_id % 10 < 8 group by 1, 3")
 def _(spark, d):
     kg, types, sigs = _light(spark, d)
-    docs = table(spark, d, "documents").filter("doc_id % 100 in (0, 1, 2)")
+    docs = table(spark, d, "documents")
     q = docs.select(F.col("doc_id").cast("long").alias("qid"), F.col("doc_id").cast("string").alias("topic"), F.lit("language").alias("etype"))
     # a head typed by training questions only: other documents have no type and no path
     found = retrieve.bidirectional(q, gold_type(q), kg, types, sigs, Config(depth=1))

@@ -190,7 +190,7 @@ def _(spark, d):
 @query("topic_lookup", "select cast(c_custkey as bigint) qid, 'customer:' || c_custkey entity, 0 edits from customer where c_custkey % 5 = 0")
 def _(spark, d):
     c = table(spark, d, "customer")
-    texts = c.filter("c_custkey % 5 = 0").select(F.col("c_custkey").cast("long").alias("qid"), F.upper("c_name").alias("text"))
+    texts = c.select(F.col("c_custkey").cast("long").alias("qid"), F.upper("c_name").alias("text"))
     names = c.select(F.concat(F.lit("customer:"), F.col("c_custkey").cast("string")).alias("entity"), F.col("c_name").alias("name"))
     return graphs.link_topics(texts, names)
 

@@ -56,3 +56,11 @@ def test_predictors_are_trained_on_all_questions(spark, sf, key, monkeypatch):
 
 def test_text_similarity_of_all_turns_and_items(spark, sf):
     against(spark, sf, "w_text_similarity", [(" and conv_id % 10 = 0", ""), (" where item_id < 20", "")])
+
+
+LINEAR = {"w_light_1hop": [("doc_id % 100 in (0, 1, 2) and ", "")], "topic_lookup": [(" where c_custkey % 5 = 0", "")], "join_full": [(" where doc_id % 2 = 0", ""), (" where doc_id % 3 = 0", "")]}
+
+
+@pytest.mark.parametrize("key", LINEAR)
+def test_linear_joins_take_all_rows(spark, sf, key):
+    against(spark, sf, key, LINEAR[key])
