@@ -184,13 +184,13 @@ def near_copies(docs: DataFrame, *, least: float = LEAST, bands: int = BANDS, ro
 def without_near_copies(docs: DataFrame, **options) -> DataFrame:
     """docs with one row of each class, all columns kept."""
     judged = stored(near_copies(docs, **options), "judged")
-    keys = judged.groupBy("doc_id", "mark").agg(F.max("kept").alias("kept"), F.count("*").alias("n"))
+    keys = judged.groupBy("doc_id", "mark").agg(F.sum(F.col("kept").cast("int")).alias("kept"), F.count("*").alias("n"))
     keyed = docs.withColumn("_id", F.col("doc_id").cast("long")).withColumn("_mark", F.xxhash64("text"))
     match = F.col("_id").eqNullSafe(F.col("k_id")) & (F.col("_mark") == F.col("k_mark"))
-    dropped = keys.filter("not kept").select(F.col("doc_id").alias("k_id"), F.col("mark").alias("k_mark"))
+    dropped = keys.filter("kept = 0").select(F.col("doc_id").alias("k_id"), F.col("mark").alias("k_mark"))
     kept = keyed.join(sized(dropped), match, "left_anti")
-    again = keys.filter("kept and n > 1").select(F.col("doc_id").alias("k_id"), F.col("mark").alias("k_mark"))
-    if not again.isEmpty():  # rows that repeat both doc_id and text
+    again = keys.filter("kept > 0 and kept < n").select(F.col("doc_id").alias("k_id"), F.col("mark").alias("k_mark"))
+    if not again.isEmpty():  # rows that repeat both doc_id and text; those without words are all kept
         again = sized(again)
         kept = kept.join(again, match, "left_anti").unionByName(kept.join(again, match, "left_semi").dropDuplicates(["_id", "_mark"]))
     return kept.select(*docs.columns)
