@@ -5,6 +5,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import logging
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -15,6 +16,7 @@ from pyspark.sql import functions as F
 
 from kgtrail.llm.common import only, small_batches, stored, table, worker_state
 from kgtrail.llm.kernels.lexicon import Lexicon, fit
+from kgtrail.llm.op2_decontaminate import sized
 
 #: Labelled rows of each class that the lexicon is learned from, in expectation.
 SAMPLE = 6_000
@@ -27,6 +29,9 @@ CLEAN = 0.15
 COMMON, NEW = 0.015, 0.01
 #: Lengths of word beginnings tried as terms; such a term needs three different words.
 BEGINNINGS = (4, 5, 6, 7)
+#: Copies in the sample agree in all MINIMA of one of KEYS keys, each a minimum of hashed runs of RUN words.
+KEYS, MINIMA, RUN = 6, 2, 5
+LOG = logging.getLogger(__name__)
 
 
 @dataclass(frozen=True)
@@ -40,11 +45,12 @@ def held_out(doc_id) -> F.Column:
 
 
 def sample_of(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> DataFrame:
-    """text, toxic of about `most` training rows of each class, one of each group of copies.
+    """row, text, words, toxic of about `most` training rows of each class, one of each group of copies.
 
     The labels are thinned by a hash of doc_id, so what is broadcast is bounded by `most`. Copies
-    would make any word of theirs look like a term: of texts that agree in one of three minima of
-    hashed words only one stays.
+    would make any word of theirs look like a term: of texts of one class that agree in one of KEYS
+    keys of min-hashes only the one with the least doc_id stays. Texts that share four fifths of
+    their runs of words are missed once in 450 times. The sizes before and after are logged.
     """
     rows = labels.filter(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
     rows = rows.groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("toxic").alias("toxic"))
@@ -52,16 +58,32 @@ def sample_of(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> DataFra
     share = F.when(F.col("toxic") == 1, F.lit(most / max(counts.get(1, 1), 1))).otherwise(F.lit(most / max(counts.get(0, 1), 1)))
     some = rows.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < share * 1_000_000)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(some), "doc_id")
-    texts = texts.withColumn("words", F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(r"[\p{L}\p{N}]+"), F.lit(0)))).filter(F.size("words") > 0)
-    for k in range(3):
-        texts = texts.withColumn("least", F.array_min(F.transform("words", lambda w, k=k: F.xxhash64(w, F.lit(k))))).dropDuplicates(["least"])
-    return stored(texts.select(F.monotonically_increasing_id().alias("row"), "text", "words", "toxic"), "toxicity-sample")
+    texts = texts.withColumn("all", F.regexp_extract_all(F.lower("text"), F.lit(r"[\p{L}\p{N}]+"), F.lit(0))).filter(F.size("all") > 0)
+    runs = F.transform(F.sequence(F.lit(1), F.greatest(F.size("all") - (RUN - 1), F.lit(1))), lambda at: F.xxhash64(F.concat_ws(" ", F.slice("all", at, RUN))))
+    texts = texts.withColumn("runs", F.array_distinct(runs))
+    keys = F.array(*[F.xxhash64(*[_least("runs", MINIMA * k + m) for m in range(MINIMA)]) for k in range(KEYS)])
+    texts = stored(texts.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text", F.array_distinct("all").alias("words"), "toxic", keys.alias("keys")), "toxicity-labelled")
+    left = texts.select("toxic", "doc_id", F.xxhash64("text").alias("mark"), "row", "keys")
+    for k in range(KEYS):
+        left = left.groupBy("toxic", F.col("keys")[k].alias("key")).agg(F.min(F.struct("doc_id", "mark", "row", "keys")).alias("first")).select("toxic", "first.*")
+    some = stored(texts.join(sized(stored(left.select("row"), "toxicity-rows")), "row", "left_semi").select("row", "text", "words", "toxic"), "toxicity-sample")
+    LOG.info("labelled rows by class: %s, without copies: %s", _sizes(texts), _sizes(some))
+    return some
+
+
+def _least(runs: str, seed: int) -> F.Column:
+    # F.transform counts the parameters of its lambda: the seed must not be one of them
+    return F.array_min(F.transform(runs, lambda run: F.xxhash64(run, F.lit(seed))))
+
+
+def _sizes(rows: DataFrame) -> dict[int, int]:
+    return {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
 
 
 def learn(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> Model:
     """The terms and weights. Without toxic or clean training rows the model has no terms."""
     some = sample_of(docs, labels, most)
-    sizes = {r["toxic"]: r["n"] for r in some.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+    sizes = _sizes(some)
     if not sizes.get(0) or not sizes.get(1):
         return Model({}, [-6.0, 0.0, 0.0, 0.0, 0.0])
     ratio = sizes[0] / sizes[1]
