@@ -5,7 +5,7 @@ from __future__ import annotations
 import re
 
 #: Kinds in the order of the digest, with their score before context.
-KINDS = {"email": 0.9, "ip": 0.6, "card": 0.9, "phone": 0.6, "iban": 0.9, "ssn": 0.3}
+KINDS = {"email": 0.9, "ip": 0.6, "card": 0.9, "phone": 0.6, "iban": 0.9, "ssn": 0.3, "secret": 0.8}
 #: Words that, shortly before a span, speak for its kind.
 HINTS = {
     "email": ("mail", "contact", "write to"),
@@ -14,24 +14,37 @@ HINTS = {
     "phone": ("phone", "call", "tel", "fax", "mobile"),
     "iban": ("iban", "account", "bank", "konto"),
     "ssn": ("ssn", "social security"),
+    "secret": ("key", "secret", "token", "password", "credential", "login"),
 }
 #: Words that speak against any kind.
 DOUBTS = ("version", "order", "isbn", "example only", "figure")
-#: Characters before a span in which such words are looked for.
+#: Characters before a span in which such words are looked for, as whole words.
 REACH = 40
 #: Added kinds are kept from this score on; the base kinds always are.
 LEAST = 0.5
 
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 _DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
-_IP = re.compile(r"[0-9]+(?:\.[0-9]+){3}")
+# a match can only begin where a run of digits does, so no run is walked twice
+_IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")
 _CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}(?![A-Za-z0-9])")
 _SSN = re.compile(r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])")
+#: Access keys by their fixed prefix, and long values given to a name that says secret.
+_KEY = re.compile(r"(?<![A-Za-z0-9])(?:AKIA|ASIA)[A-Z0-9]{16}(?![A-Za-z0-9])")
+_GIVEN = re.compile(r"(?<![A-Za-z0-9])(?:password|passwd|pwd|secret|token|api[_-]?key|access[_-]?key)\s{0,3}[=:]\s{0,3}[\"']?([A-Za-z0-9+/_-]{12,200})(?![A-Za-z0-9+/_-])", re.IGNORECASE)
 _NOT_DIGIT = re.compile(r"[^0-9]")
 
 
+def _any_of(words: tuple[str, ...]) -> re.Pattern:
+    return re.compile(r"(?<![^\W_])(?:" + "|".join(map(re.escape, words)) + r")(?![^\W_])")
+
+
+_HINTED = {kind: _any_of(words) for kind, words in HINTS.items()}
+_DOUBTED = _any_of(DOUBTS)
+
+
 def luhn(digits: str) -> bool:
     total = 0
     for k, c in enumerate(reversed(digits)):
@@ -76,16 +89,26 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
 
 
 def context(text: str, kind: str, start: int) -> float:
-    before = text[max(0, start - REACH) : start].lower()
-    return 0.3 * any(w in before for w in HINTS[kind]) - 0.3 * any(w in before for w in DOUBTS)
+    # one character more than REACH shows whether the first word is whole
+    before = text[max(0, start - REACH - 1) : start].lower()
+    first = int(start > REACH)
+    return 0.3 * bool(_HINTED[kind].search(before, first)) - 0.3 * bool(_DOUBTED.search(before, first))
+
+
+def secret_like(value: str) -> bool:
+    """Letters and at least three digits: no word of a language, no plain number."""
+    digits = sum(c.isdigit() for c in value)
+    return digits >= 3 and digits < len(value)
 
 
 def spans(text: str) -> list[tuple[str, int, int, float]]:
     """(kind, start, end, score) by kind in the order of KINDS, then by start. Base kinds are never
-    dropped by their score; the added kinds need a checksum or a hint."""
+    dropped by their score; the added kinds need a checksum, a hint or the shape of a secret."""
     rows = [(k, a, b, min(1.0, max(0.0, KINDS[k] + context(text, k, a)))) for k, a, b in base_spans(text)]
     added = [("iban", *m.span()) for m in _IBAN.finditer(text) if mod97(m[0])]
     added += [("ssn", *m.span()) for m in _SSN.finditer(text)]
+    given = {m.span(1) for m in _GIVEN.finditer(text) if secret_like(m[1])} if "=" in text or ":" in text else set()
+    added += [("secret", a, b) for a, b in sorted(given | {m.span() for m in _KEY.finditer(text)})]
     for k, a, b in added:
         score = min(1.0, max(0.0, KINDS[k] + context(text, k, a)))
         if score >= LEAST:

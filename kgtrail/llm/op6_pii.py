@@ -14,7 +14,7 @@ from kgtrail.llm.kernels import spans as kernel
 
 SPANS = "doc_id long, spans array<struct<kind:string,start:long,end:long,score:double>>"
 BASE = ("email", "ip", "card", "phone")
-DIGEST = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string"
+DIGEST = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long"
 
 
 def _found(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -26,14 +26,16 @@ def _found(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        counts, hashes, texts = [[], [], [], []], [], []
+        counts, hashes, texts, added = [[], [], [], []], [], [], []
         for t in batch.column(1):
             found = kernel.spans(t.as_py() or "")
             for k, kind in enumerate(BASE):
                 counts[k].append(sum(s[0] == kind for s in found))
             hashes.append(hashlib.sha256(",".join(f"{k}:{a}:{b}" for k, a, b, _ in found if k in BASE).encode()).hexdigest())
             texts.append(",".join(f"{k}:{a}:{b}" for k, a, b, _ in found))
-        yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(c, pa.int64()) for c in counts], pa.array(hashes), pa.array(texts, pa.string())], ["doc_id", *[f"n_{k}" for k in BASE], "base_sha256", "spans"])
+            added.append(sum(s[0] not in BASE for s in found))
+        cols = [batch.column(0), *[pa.array(c, pa.int64()) for c in counts], pa.array(hashes, pa.string()), pa.array(texts, pa.string()), pa.array(added, pa.int64())]
+        yield pa.RecordBatch.from_arrays(cols, ["doc_id", *[f"n_{k}" for k in BASE], "base_sha256", "spans", "n_added"])
 
 
 def find(docs: DataFrame, *, digest: bool = False) -> DataFrame:
