@@ -27,17 +27,22 @@ def byte_letters() -> list[str]:
 
 
 #: Unicode white space, which Python's \\s exceeds by the separators U+001C to U+001F.
-SPACES = re.compile("[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]+")
+WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
+SPACES = re.compile(f"[{WHITE}]+")
 
 
 class WordBpe:
-    """Encoder and decoder for a tokenizer file of the word-end BPE kind (JSON text)."""
+    """Encoder and decoder for a tokenizer file (JSON text) of the word-end BPE kind: NFC, blanks
+    joined, lower case, no decoder. Files that normalise otherwise are refused."""
 
     MAX_CACHED = 400_000
 
     def __init__(self, text: str):
         spec = json.loads(text)
         model = spec["model"]
+        kinds = [x["type"] for x in (spec["normalizer"] or {}).get("normalizers", [])]
+        if kinds != ["NFC", "Replace", "Lowercase"] or spec["decoder"] or not model.get("end_of_word_suffix"):
+            raise ValueError("not a word-end tokenizer file that composes, joins blanks and lowers")
         self.end = model.get("end_of_word_suffix") or ""
         vocab: dict[str, int] = model["vocab"]
         merges = [m if isinstance(m, list) else m.split(" ") for m in model["merges"]]

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import re
 import zlib
 from collections.abc import Iterator
 
@@ -14,7 +15,7 @@ from pyspark.sql import functions as F
 
 from kgtrail.llm.common import new_path, only, small_batches, table, worker_state
 from kgtrail.llm.kernels import simple8b
-from kgtrail.llm.kernels.backtrack import byte_letters
+from kgtrail.llm.kernels.backtrack import WHITE, byte_letters
 
 #: A block is closed once it holds this many ids; a document is never split.
 BLOCK_IDS = 1 << 16
@@ -23,15 +24,47 @@ BLOCK_IDS = 1 << 16
 BLOCKS = "part int, block int, first long, n_ids long, doc_ids array<long>, lengths array<int>, words binary"
 
 
-def byte_encoder(text: str):
-    """The tokenizer file's own vocabulary in the fast library for byte-level BPE."""
-    import tiktoken
-    from public_tokenizers import PATTERN
+#: Runs of white space this long are cut out before the library sees them, as its pattern steps
+#: back over them one by one.
+LONG_BLANK = 256
 
-    spec = json.loads(text)
-    back = {c: b for b, c in enumerate(byte_letters())}
-    ranks = {bytes(back[c] for c in t): i for t, i in spec["model"]["vocab"].items() if t not in {x["content"] for x in spec["added_tokens"]}}
-    return tiktoken.Encoding("blocks", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={x["content"]: x["id"] for x in spec["added_tokens"]})
+
+class ByteEncoder:
+    """A tokenizer file's vocabulary in the fast library for byte-level BPE."""
+
+    def __init__(self, text: str):
+        import tiktoken
+        from public_tokenizers import PATTERN
+
+        spec = json.loads(text)
+        back = {c: b for b, c in enumerate(byte_letters())}
+        self.special = {x["content"]: x["id"] for x in spec["added_tokens"]}
+        ranks = {bytes(back[c] for c in t): i for t, i in spec["model"]["vocab"].items() if t not in self.special}
+        self.coder = tiktoken.Encoding("blocks", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens=self.special)
+        self.marks = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
+        self.blank = re.compile(f"[{WHITE}]{{{LONG_BLANK},}}")
+
+    def encode(self, text: str, allowed_special: str | set = "all") -> list[int]:
+        if allowed_special != "all" or not self.blank.search(text):
+            return self.coder.encode(text, allowed_special=allowed_special)
+        ids: list[int] = []
+        for k, part in enumerate(self.marks.split(text) if self.marks else [text]):
+            if k % 2:
+                ids.append(self.special[part])
+                continue
+            at = 0
+            for m in self.blank.finditer(part):
+                # the last blank of a run goes with what follows, all before it are one piece
+                end = m.end() if m.end() == len(part) else m.end() - 1
+                ids += self.coder.encode_ordinary(part[at : m.start()])
+                ids += self.coder._encode_single_piece(part[m.start() : end])
+                at = end
+            ids += self.coder.encode_ordinary(part[at:])
+        return ids
+
+
+def byte_encoder(text: str) -> ByteEncoder:
+    return ByteEncoder(text)
 
 
 def _writer(key: str, shared, end_id: int, block_ids: int):
@@ -52,7 +85,7 @@ def _writer(key: str, shared, end_id: int, block_ids: int):
 
         for batch in batches:
             for doc, text in zip(batch.column(0), batch.column(1), strict=True):
-                got = coder.encode(text.as_py() or "", allowed_special="all")
+                got = coder.encode(text.as_py() or "")
                 got.append(end_id)
                 ids.append(np.array(got, np.uint32))
                 docs.append(doc.as_py())
@@ -72,17 +105,20 @@ def write_token_files(docs: DataFrame, path: str, tokenizer: str, *, end_id: int
     """Encodes every whole text, appends end_id, and writes blocks in ascending doc_id order.
 
     Null text counts as empty (the end id alone); a null doc_id sorts first; rows with the same
-    doc_id stay, ordered by text; an empty table writes no block; other columns are ignored.
-    Parts are ranges of doc_id, so part, block and place in block give the global order without
-    one task ever seeing all rows. Blocks hold whole documents and about block_ids ids.
+    doc_id stay, ordered by a hash of the text; an empty table writes no block; other columns are
+    ignored. Parts are ranges of (doc_id, hash, row), so part, block and place in block give the
+    global order without one task ever seeing all rows, even if all share one doc_id or text.
+    Blocks hold whole documents and about block_ids ids.
     """
     small_batches(docs.sparkSession)
     with open(tokenizer, encoding="utf-8") as f:
         text = f.read()
     shared = docs.sparkSession.sparkContext.broadcast(text)
     rows = only(docs, "doc_id", "text").withColumn("doc_id", F.col("doc_id").cast("long"))
-    ordered = rows.repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.col("text").asc_nulls_first())
-    ordered.mapInArrow(_writer(hashlib.sha256(text.encode()).hexdigest(), shared, end_id, block_ids), BLOCKS).write.parquet(path)
+    rows = rows.withColumn("mark", F.xxhash64("text")).withColumn("nth", F.monotonically_increasing_id())
+    order = [F.col("doc_id").asc_nulls_first(), F.col("mark"), F.col("nth")]
+    ordered = rows.repartitionByRange(*order).sortWithinPartitions(*order)
+    ordered.select("doc_id", "text").mapInArrow(_writer(hashlib.sha256(text.encode()).hexdigest(), shared, end_id, block_ids), BLOCKS).write.parquet(path)
 
 
 def _reader(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
