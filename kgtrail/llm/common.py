@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import sys
 import tempfile
 import types
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -41,7 +45,8 @@ def new_path(spark: SparkSession, name: str) -> str:
 
 def stored(df: DataFrame, name: str) -> DataFrame:
     """df written to the shared folder and read again: cuts the lineage, and a lost executor costs
-    no recomputation of what was written."""
+    no recomputation of what was written. A query's result is read from such tables after the call
+    returns, so they stay until the owner of the session clears the folder's `kgtrail` part."""
     path = new_path(df.sparkSession, name)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
@@ -52,24 +57,35 @@ def ascii_lower(c: Column) -> Column:
 
 
 def worker_state(key: str, make):
-    """State that a reused Python worker keeps between tasks; only the latest is kept, so that the
-    memory of a worker does not add up over the stages of a pipeline."""
+    """State that a reused Python worker keeps between tasks; only the latest is kept, and what it
+    replaces is given back, so that the memory of a worker does not add up over a pipeline."""
     store = sys.modules.setdefault("_kgtrail_worker_state", types.ModuleType("_kgtrail_worker_state")).__dict__
     if store.get("key") != key:
         store.pop("value", None)
+        give_back()
         store["value"], store["key"] = make(), key
     return store["value"]
 
 
-#: Rows that go to a Python worker at once; texts may be long, and a batch is held whole.
-BATCH_ROWS = 1_000
+def give_back() -> None:
+    """Returns freed memory of this process to the machine, where its C library can."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+#: Rows and bytes that go to a Python worker at once; a batch is held whole.
+BATCH_ROWS, BATCH_BYTES = 1_000, 16 << 20
 
 
 def small_batches(spark: SparkSession) -> None:
-    """Keeps Arrow batches of this session at BATCH_ROWS rows or under."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if int(spark.conf.get(key, "10000")) > BATCH_ROWS:
-        spark.conf.set(key, str(BATCH_ROWS))
+    """Keeps Arrow batches at BATCH_ROWS rows and about BATCH_BYTES or under. Plans read these two
+    settings when they run, after the operator has returned, so they stay set in the session."""
+    for key, most in (("maxRecordsPerBatch", BATCH_ROWS), ("maxBytesPerBatch", BATCH_BYTES)):
+        now = spark._jsparkSession.sessionState().conf().getConfString(f"spark.sql.execution.arrow.{key}", "-1")
+        if not now.isdigit() or not 0 < int(now) <= most:
+            spark.conf.set(f"spark.sql.execution.arrow.{key}", str(most))
 
 
 def only(df: DataFrame, *names: str) -> DataFrame:

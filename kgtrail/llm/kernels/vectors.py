@@ -7,6 +7,7 @@ import numpy as np
 
 def unit(rows: np.ndarray) -> np.ndarray:
     rows = np.asarray(rows, np.float64)
+    rows = rows / np.abs(rows).max(axis=1, keepdims=True)  # else squares may leave the range of doubles
     return rows / np.linalg.norm(rows, axis=1, keepdims=True)
 
 
