@@ -5,6 +5,7 @@ from __future__ import annotations
 import contextlib
 import ctypes
 import gc
+import re
 import sys
 import tempfile
 import types
@@ -83,9 +84,10 @@ def small_batches(spark: SparkSession) -> None:
     """Keeps Arrow batches at BATCH_ROWS rows and about BATCH_BYTES or under. Plans read these two
     settings when they run, after the operator has returned, so they stay set in the session."""
     for key, most in (("maxRecordsPerBatch", BATCH_ROWS), ("maxBytesPerBatch", BATCH_BYTES)):
-        now = spark._jsparkSession.sessionState().conf().getConfString(f"spark.sql.execution.arrow.{key}", "-1")
-        if not now.isdigit() or not 0 < int(now) <= most:
-            spark.conf.set(f"spark.sql.execution.arrow.{key}", str(most))
+        name = f"spark.sql.execution.arrow.{key}"
+        now = re.match(r"([0-9]+)b?$", spark.conf.get(name, None) or "")
+        if not now or not 0 < int(now[1]) <= most:
+            spark.conf.set(name, str(most))
 
 
 def only(df: DataFrame, *names: str) -> DataFrame:
