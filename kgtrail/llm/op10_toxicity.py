@@ -36,8 +36,20 @@ LOG = logging.getLogger(__name__)
 
 @dataclass(frozen=True)
 class Model:
+    """terms and what each adds, weights of the bias and of the four features, and words near a
+    term that the sample shows to be no misspelling."""
+
     terms: dict[str, float]
     weights: list[float]
+    innocent: tuple[str, ...] = ()
+
+    @property
+    def key(self) -> str:
+        return "toxicity:" + hashlib.sha256(json.dumps([self.terms, self.innocent]).encode()).hexdigest()
+
+    @property
+    def text(self) -> str:
+        return json.dumps([self.terms, self.weights, self.innocent])
 
 
 def held_out(doc_id) -> F.Column:
@@ -106,20 +118,34 @@ def learn(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> Model:
         if (new >= max(3, NEW * sizes[1]) or r["hit"] >= COMMON * sizes[1]) and not any(t.endswith("*") and text.startswith(t[:-1]) for t in terms):
             terms[text] = float(np.log((r["hit"] + 0.5) * ratio / (r["clean"] + 0.5)))
             known.update(r["rows"])
-    rows = _scored(some.select(F.col("toxic").cast("long").alias("doc_id"), "text"), Model(terms, []), True).collect()
+    innocent = _innocent(per_word, terms, ratio)
+    rows = _scored(some.select(F.col("toxic").cast("long").alias("doc_id"), "text"), Model(terms, [], innocent), True).collect()
     weights = fit(np.array([list(r["features"]) for r in rows]), np.array([float(r["doc_id"]) for r in rows]))
-    weights[1:4] = np.maximum(weights[1:4], 0)
-    return Model(terms, [float(w) for w in weights])
+    LOG.info("%d terms, %d words near one that are none; weights %s", len(terms), len(innocent), weights.round(3).tolist())
+    return Model(terms, [float(w) for w in weights], innocent)
+
+
+def _innocent(per_word: DataFrame, terms: dict[str, float], ratio: float) -> tuple[str, ...]:
+    """Words of the sample one letter from a term that clean texts have as readily as toxic ones."""
+    if not terms:
+        return ()
+
+    def near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lexicon = Lexicon(terms)
+        for batch in batches:
+            yield batch.filter(pa.array([(lexicon.match(w.as_py()) or ("", 0))[1] > 0 for w in batch.column(0)], pa.bool_()))
+
+    clean = per_word.filter((F.col("clean") > 0) & (F.col("clean") > CLEAN * ratio * F.col("hit"))).select("word")
+    return tuple(sorted(r["word"] for r in clean.mapInArrow(near, "word string").collect()))
 
 
 def _scored(docs: DataFrame, model: Model, features: bool = False) -> DataFrame:
     small_batches(docs.sparkSession)
-    text = json.dumps([model.terms, model.weights])
-    key = "toxicity:" + hashlib.sha256(json.dumps(model.terms).encode()).hexdigest()
+    text, key = model.text, model.key
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        terms, weights = json.loads(text)
-        lexicon = worker_state(key, lambda: Lexicon(terms))
+        terms, weights, innocent = json.loads(text)
+        lexicon = worker_state(key, lambda: Lexicon(terms, innocent))
         for batch in batches:
             rows = [lexicon.features(t.as_py() or "") for t in batch.column(1)]
             if features:
@@ -148,12 +174,11 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
 def reject(docs: DataFrame, model: Model) -> DataFrame:
     """The rows of docs that score under 0.5, with all their columns."""
     small_batches(docs.sparkSession)
-    text = json.dumps([model.terms, model.weights])
-    key = "toxicity:" + hashlib.sha256(json.dumps(model.terms).encode()).hexdigest()
+    text, key = model.text, model.key
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        terms, weights = json.loads(text)
-        lexicon = worker_state(key, lambda: Lexicon(terms))
+        terms, weights, innocent = json.loads(text)
+        lexicon = worker_state(key, lambda: Lexicon(terms, innocent))
         for batch in batches:
             x = np.array([lexicon.features(t.as_py() or "") for t in batch.column("text")]).reshape(-1, 4)
             yield batch.filter(pa.array(weights[0] + x @ np.array(weights[1:]) < 0))
