@@ -1,9 +1,11 @@
 """Weighted MinHash by darts.
 
-A text is a multiset of word shingles. The n-th occurrence of a shingle is one region of unit
-weight; darts fall on it along a rank axis as a Poisson process that depends on the region alone.
-Each dart aims at one coordinate, and the earliest dart of a coordinate is its signature value: two
-texts agree there with the probability of their weighted Jaccard similarity.
+An element of weight w is cut into regions of unit weight and one for the rest; darts fall on a
+region along a rank axis as a Poisson process that depends on the region alone, and in the last
+region only those below the rest hit. Each dart aims at one coordinate, and the earliest dart of a
+coordinate is its signature value: two sides agree there with the probability of their weighted
+Jaccard similarity (sum of lesser weights over sum of greater ones). A text is a multiset of word
+shingles: the n-th occurrence of a shingle is its n-th region.
 """
 
 from __future__ import annotations
@@ -82,10 +84,20 @@ class Darts:
             self.cells.append((lo, hi, np.cumsum(np.exp(logs))))
         return self.cells[c]
 
-    def signature(self, elements: np.ndarray) -> np.ndarray:
-        """The values of the earliest darts, by coordinate."""
+    @staticmethod
+    def regions(keys: np.ndarray, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(regions, part of each that is hit) of distinct 64-bit keys with weights above zero."""
+        count = np.ceil(weights).astype(np.int64)
+        nth = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+        part = np.minimum(np.repeat(np.asarray(weights, np.float64), count) - nth, 1.0)
+        return mix(np.repeat(keys, count) + nth.astype(_U) * _A), part
+
+    def signature(self, elements: np.ndarray, part: np.ndarray | None = None) -> np.ndarray:
+        """The values of the earliest darts, by coordinate. elements: regions; part: how much of
+        each may be hit, all of it unless given."""
         k = self.k
-        reach = k * (math.log(k) + 2) / len(elements)  # enough darts that few coordinates stay free
+        weight = len(elements) if part is None else float(part.sum())
+        reach = k * (math.log(k) + 2) / weight  # enough darts that few coordinates stay free
         best, value = np.full(k, np.inf), np.zeros(k, _U)
         c = 0
         while True:
@@ -98,6 +110,8 @@ class Darts:
                 who = np.repeat(np.arange(len(elements)), count)
                 nth = np.arange(total) - np.repeat(np.cumsum(count) - count, count)
                 dart = mix(elements[who] * _B + nth.astype(_U) * _A + seed)
+                if part is not None:
+                    dart = dart[(mix(dart ^ _B) >> _U(11)).astype(np.float64) * 2.0**-53 < part[who]]
                 rank = lo + (hi - lo) * ((dart >> _U(11)).astype(np.float64) * 2.0**-53)
                 aim = (mix(dart ^ _C) % _U(k)).astype(np.int64)
                 order = np.argsort(-rank)
@@ -113,14 +127,14 @@ class Darts:
                 return value
 
     def describe(self, text: str) -> tuple[bytes | None, np.ndarray, np.ndarray]:
-        """Digest of the word sequence (None without words), band keys, elements in 32 bits."""
+        """Digest of the word sequence (None without words), band keys, elements."""
         words = self.words(text)
         if not len(words):
-            return None, np.zeros(0, np.int64), np.zeros(0, np.int32)
+            return None, np.zeros(0, np.int64), np.zeros(0, np.int64)
         elements = self.elements(words)
         value = self.signature(elements).reshape(-1, self.rows)
         keys = np.arange(len(value)).astype(_U)
         for j in range(self.rows):
             keys = mix(keys * _B + value[:, j])
         digest = hashlib.blake2b(words.tobytes(), digest_size=16).digest()
-        return digest, keys.view(np.int64), np.unique((elements >> _U(32)).astype(np.uint32)).view(np.int32)
+        return digest, keys.view(np.int64), np.unique(elements).view(np.int64)

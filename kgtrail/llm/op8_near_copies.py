@@ -28,8 +28,8 @@ BANDS, ROWS = 36, 6
 #: Rounds in which a bucket's members are compared with one hub.
 HUB_ROUNDS = 2
 #: Members up to which a bucket's pairs are listed, and those in a block of a larger bucket.
-SMALL, BLOCK = 24, 512
-SIGNED = "row long, doc_id long, mark long, digest binary, bands array<long>, n int, items array<int>"
+SMALL, BLOCK = 24, 1024
+SIGNED = "row long, doc_id long, mark long, digest binary, bands array<long>, n int, items array<long>"
 
 
 def _signer(bands: int, rows: int):
@@ -40,7 +40,7 @@ def _signer(bands: int, rows: int):
                 part = batch.slice(lo, 512)
                 got = [darts.describe(t.as_py() or "") for t in part.column(3)]
                 yield pa.RecordBatch.from_arrays(
-                    [*part.columns[:3], pa.array([d for d, _, _ in got], pa.binary()), pa.array([b for _, b, _ in got], pa.list_(pa.int64())), pa.array([len(i) for _, _, i in got], pa.int32()), pa.array([i for _, _, i in got], pa.list_(pa.int32()))],
+                    [*part.columns[:3], pa.array([d for d, _, _ in got], pa.binary()), pa.array([b for _, b, _ in got], pa.list_(pa.int64())), pa.array([len(i) for _, _, i in got], pa.int32()), pa.array([i for _, _, i in got], pa.list_(pa.int64()))],
                     ["row", "doc_id", "mark", "digest", "bands", "n", "items"],
                 )
 
@@ -106,7 +106,7 @@ def _linker(least: float):
 def linked_in_blocks(members: DataFrame, texts: DataFrame, least: float) -> DataFrame:
     """Links (a, b) that join what all links across components in the buckets join. Blocks are made
     by a hash of the row, so each holds about BLOCK members, and each two blocks meet once."""
-    sizes = members.groupBy("bucket").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    sizes = _per_bucket(members.groupBy("bucket").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks")))
     placed = members.join(sizes, "bucket").withColumn("b", F.pmod(F.xxhash64("row"), F.col("blocks")).cast("int"))
     placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     placed = placed.select("bucket", "row", "component", F.least("b", "other").alias("i"), F.greatest("b", "other").alias("j"))
@@ -114,6 +114,13 @@ def linked_in_blocks(members: DataFrame, texts: DataFrame, least: float) -> Data
     return placed.join(needed, "row").groupBy("bucket", "i", "j").applyInPandas(_linker(least), "a long, b long")
 
 
+def _per_bucket(rows: DataFrame) -> DataFrame:
+    """A table with a row for each bucket, written before it is joined: it is broadcast while it is
+    small, and beyond that both sides of the join are plain exchanges, so that Spark splits the
+    rows of a bucket that holds very many."""
+    return sized(stored(rows, "per-bucket"))
+
+
 def near_copies(docs: DataFrame, *, least: float = LEAST, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """doc_id, mark (hash of the text), class_id, kept: one row for each row of docs.
 
@@ -122,7 +129,7 @@ def near_copies(docs: DataFrame, *, least: float = LEAST, bands: int = BANDS, ro
     doc_id, whose row is kept. Texts with the same words always link. Null text and text without
     words link with nothing. Rows that repeat a doc_id are rows of their own; a null doc_id comes
     after all others when a class is named. An empty table gives no rows; other columns are ignored.
-    Shingles are compared by 32-bit hashes when similarities are checked.
+    Similarities are checked on 64-bit hashes of the shingles' occurrences.
     """
     texts = signed(docs, bands, rows)
     names = texts.select("row", "doc_id", "mark", "digest")
@@ -130,7 +137,7 @@ def near_copies(docs: DataFrame, *, least: float = LEAST, bands: int = BANDS, ro
     first = stored(names.join(same, "digest", "left").select("row", "doc_id", "mark", F.coalesce("rep", "row").alias("rep")), "copies")
     own = texts.join(first.filter("row = rep").select("row"), "row", "left_semi")
     members = own.select("row", F.explode("bands").alias("bucket"))
-    shared = members.groupBy("bucket").agg(F.count("*").alias("k")).filter("k > 1")
+    shared = _per_bucket(members.groupBy("bucket").agg(F.count("*").alias("k")).filter("k > 1"))
     members = stored(members.join(shared, "bucket"), "buckets")
     central = members.groupBy("row").agg(F.sum("k").alias("weight"))
     members = stored(members.join(central, "row").select("bucket", "row", "weight", F.col("row").alias("component"), F.lit(False).alias("was_hub")), "buckets")
@@ -155,17 +162,17 @@ def near_copies(docs: DataFrame, *, least: float = LEAST, bands: int = BANDS, ro
         if found is not None:
             members = members.drop("component").join(found.withColumnRenamed("id", "row"), "row", "left").withColumn("component", F.coalesce("component", "row"))
         several = members.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi")
-        return stored(members.join(several.select("bucket"), "bucket", "left_semi"), "buckets")
+        return stored(members.join(_per_bucket(several.select("bucket")), "bucket", "left_semi"), "buckets")
 
     for _ in range(HUB_ROUNDS):
         hubs = members.filter("not was_hub").groupBy("bucket").agg(F.max(F.struct("weight", (-F.col("row")).alias("row"), "component")).alias("h"))
-        hubs = hubs.select("bucket", (-F.col("h.row")).alias("a"), F.col("h.component").alias("ca"))
+        hubs = _per_bucket(hubs.select("bucket", (-F.col("h.row")).alias("a"), F.col("h.component").alias("ca")))
         both = members.join(hubs, "bucket")
         meet(both.filter("component <> ca and not was_hub").select("a", F.col("row").alias("b")))
         members = still_open(both.withColumn("was_hub", F.col("was_hub") | (F.col("row") == F.col("a"))).drop("a", "ca"))
         if members.isEmpty():
             break
-    rest = members.join(members.groupBy("bucket").agg(F.count("*").alias("k")), "bucket").filter("k > 1")
+    rest = members.join(_per_bucket(members.groupBy("bucket").agg(F.count("*").alias("k")).filter("k > 1")), "bucket")
     few = rest.filter(F.col("k") <= SMALL).select("bucket", "row", "component")
     one = few.select("bucket", F.col("row").alias("a"), F.col("component").alias("ca"))
     meet(one.join(few, "bucket").filter("a < row and component <> ca").select("a", F.col("row").alias("b")))
