@@ -1,14 +1,17 @@
 """Benchmark decontamination through a positional inverted index, in DataFrame functions only.
 
-The index is partitioned by document: a posting is (document row, position), and lists are
-intersected where the document lies, so texts are never shuffled. Of each test window the two terms
-that the corpus has least often are looked up; where the second one stands at the right distance
-from the first, the posting is stored with the words around it. The exact check reads the stored
-postings alone.
+Of each test window the terms that the corpus has least often are looked up. The index stores the
+postings of these terms (term, document row, position) over all training texts, with the words
+around each. The list of a window's rarest term and that of its second rarest, both shifted by the
+term's place in the window, are intersected; what is left is checked word by word on the stored
+words. The same index answers which places hold a window's words closely, in any order.
 """
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -16,8 +19,20 @@ from kgtrail.llm.common import WORD_ANY_CASE, ascii_lower, stored, table
 
 #: Consecutive words of a test item that make a window.
 WIDTH = 13
-#: Rows of a table of terms or windows up to which it is broadcast; beyond, it is shuffled.
+#: Rows of a table up to which it is broadcast; terms beyond it are looked up in several scans.
 BROADCAST_ROWS = 500_000
+#: Words by which a close place may be longer than the window.
+SLOP = 3
+
+
+@dataclass(frozen=True)
+class Index:
+    """postings: term, row, pos, around (the lowered words from pos - reach to pos + reach, fewer
+    where the text begins or ends). lengths: row, doc_id, the kept columns, n_words."""
+
+    postings: DataFrame
+    lengths: DataFrame
+    reach: int
 
 
 def words(text: Column) -> Column:
@@ -25,8 +40,9 @@ def words(text: Column) -> Column:
     return F.regexp_extract_all(F.coalesce(text, F.lit("")), F.lit(WORD_ANY_CASE), F.lit(0))
 
 
-def sized(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
+def sized(df: DataFrame, most: int | None = None) -> DataFrame:
     """df, to be broadcast if it has at most `most` rows."""
+    most = BROADCAST_ROWS if most is None else most
     return F.broadcast(df) if df.limit(most + 1).count() <= most else df
 
 
@@ -40,10 +56,19 @@ def windows(items: DataFrame, width: int = WIDTH) -> DataFrame:
     return found.withColumn("phrase", F.monotonically_increasing_id())
 
 
+def _scans(terms: DataFrame) -> list[DataFrame]:
+    """terms (key, ...) in parts of at most about BROADCAST_ROWS rows, each to be broadcast."""
+    parts = -(-terms.count() // max(1, BROADCAST_ROWS))
+    if parts <= 1:
+        return [F.broadcast(terms)]
+    return [F.broadcast(terms.filter(F.pmod(F.xxhash64("key"), F.lit(parts)) == i)) for i in range(parts)]
+
+
 def term_counts(docs: DataFrame, terms: DataFrame) -> DataFrame:
-    """key, n: how often each key of `terms` occurs in all documents (0 included)."""
+    """key, n: how often each key of `terms` occurs in all documents (0 included). Words are counted
+    where they are read: what is shuffled is a row for each term and task at most."""
     seen = docs.select(F.explode(words(F.col("text"))).alias("w")).select(F.lower("w").alias("key"))
-    counts = seen.join(terms, "key").groupBy("key").agg(F.count("*").alias("n"))
+    counts = reduce(DataFrame.unionByName, [seen.join(part, "key").groupBy("key").agg(F.count("*").alias("n")) for part in _scans(terms)])
     return terms.join(counts, "key", "left").fillna(0, ["n"])
 
 
@@ -60,51 +85,90 @@ def rarest_pairs(found: DataFrame, counts: DataFrame) -> DataFrame:
     return pairs.filter("least > 0").select("phrase", "len", F.col("a.key").alias("key"), F.col("a.off").alias("off"), F.col("b.key").alias("key2"), F.col("b.off").alias("off2"))
 
 
-def postings(docs: DataFrame, pairs: DataFrame, slop: int = 0, keep: tuple[str, ...] = ()) -> DataFrame:
-    """row, doc_id, phrase, start, around: where both rare terms of a window stand in place.
+def build_index(docs: DataFrame, terms: DataFrame, reach: int, keep: tuple[str, ...] = ()) -> Index:
+    """The index of docs for the given terms (key, distinct), written to the shared folder.
 
-    Every document also has a closing posting (phrase -1, start = its number of words), so the
-    postings alone tell the length of each document. `around` holds the lowered words of the
-    window, with `slop` more on either side; with slop, the second term may be that far off.
+    Every document ends with an empty word, whose posting tells its length; it is read in the first
+    scan only. No word leaves the scan but the postings, so texts are never shuffled.
     """
-    end = docs.sparkSession.range(1).select(F.lit(-1).cast("long").alias("phrase"), F.lit(1).alias("len"), F.lit("").alias("key"), F.lit(0).alias("off"), F.lit("").alias("key2"), F.lit(0).alias("off2"))
-    probe = sized(pairs.select("phrase", "len", "key", "off", "key2", "off2").unionByName(end))
-    rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), *keep, F.concat(words(F.col("text")), F.array(F.lit(""))).alias("ws"))
-    each = rows.select("row", "doc_id", *keep, "ws", F.posexplode("ws").alias("pos", "w")).withColumn("key", F.lower("w"))
-    at = F.col("pos") + F.col("off2") - F.col("off")
-    if slop:
-        near = F.slice("ws", F.greatest(at - slop, F.lit(0)) + 1, F.lit(2 * slop + 1))
-        second = F.exists(near, lambda x: F.lower(x) == F.col("key2"))
-    else:
-        second = F.lower(F.get("ws", at)) == F.col("key2")
-    hits = each.join(probe, "key").filter((F.col("pos") + slop >= F.col("off")) & second)
-    start = F.col("pos") - F.col("off")
-    first = F.greatest(start - slop, F.lit(0))
-    around = F.transform(F.slice("ws", first + 1, F.col("len") + start - first + slop), ascii_lower)
-    return hits.select("row", "doc_id", *keep, "phrase", start.alias("start"), around.alias("around"))
-
-
-def exact_matches(posted: DataFrame, found: DataFrame) -> DataFrame:
-    """row, phrase, start, len, items: the stored postings whose words are the window's own."""
-    both = posted.filter("phrase >= 0").join(sized(found), "phrase")
-    return both.filter(F.col("around") == F.col("terms")).select("row", "phrase", "start", F.size("terms").alias("len"), "items")
-
-
-def proximity_matches(docs: DataFrame, items: DataFrame, *, width: int = WIDTH, slop: int = 3) -> DataFrame:
-    """doc_id, start, phrase text: places where all words of a window, in any order, stand within
-    `slop` words of the window's own extent around its rarest term."""
+    end = docs.sparkSession.range(1).select(F.lit("").alias("key"))
+    scans = _scans(terms)
+    rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), *keep, "text")
+    if len(scans) > 1:  # all scans must name the rows alike
+        rows = stored(rows, "index-rows")
+    scans[0] = F.broadcast(scans[0].unionByName(end))
+    each = rows.select("row", "doc_id", *keep, F.concat(words(F.col("text")), F.array(F.lit(""))).alias("ws"))
+    each = each.select("row", "doc_id", *keep, "ws", F.posexplode("ws").alias("pos", "w")).withColumn("key", F.lower("w"))
+    first = F.greatest(F.col("pos") - reach, F.lit(0))
+    around = F.transform(F.filter(F.slice("ws", first + 1, F.col("pos") - first + reach + 1), lambda w: w != ""), ascii_lower)
+    columns = ["row", "doc_id", *keep, F.col("key").alias("term"), "pos", F.when(F.col("key") != "", around).alias("around")]
+    all_ = stored(reduce(DataFrame.unionByName, [each.join(part, "key").select(*columns) for part in scans]), "postings")
+    lengths = all_.filter("term = ''").select("row", "doc_id", *keep, F.col("pos").cast("long").alias("n_words"))
+    return Index(all_.filter("term <> ''").select("term", "row", "pos", "around"), lengths, reach)
+
+
+def _lists(index: Index, pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The posting lists of each window's rarest and second rarest term."""
+    thin = index.postings.select("term", "row", "pos")
+    one = thin.join(sized(pairs.select("phrase", "len", "off", "off2", F.col("key").alias("term"))), "term")
+    two = thin.join(sized(pairs.select("phrase", F.col("off2"), F.col("key2").alias("term"))), "term")
+    return one, two
+
+
+def _with_words(index: Index, places: DataFrame) -> DataFrame:
+    """places (row, pos, term, ...) with the stored words around them."""
+    few = index.postings.join(sized(places.select("row", "pos").distinct()), ["row", "pos"], "left_semi")
+    return places.join(few.select("row", "pos", "around"), ["row", "pos"])
+
+
+def exact_matches(index: Index, found: DataFrame, pairs: DataFrame) -> DataFrame:
+    """row, phrase, start, len, items: every place where a window stands word for word."""
+    one, two = _lists(index, pairs)
+    one = one.select("phrase", "len", "row", "pos", "off", (F.col("pos") - F.col("off")).alias("start")).filter("start >= 0")
+    two = two.select("phrase", "row", (F.col("pos") - F.col("off2")).alias("start"))
+    both = stored(one.join(two, ["phrase", "row", "start"], "left_semi"), "intersections")
+    at = F.least("pos", F.lit(index.reach)) - F.col("off")  # where the window begins among the stored words
+    full = _with_words(index, both).withColumn("said", F.slice("around", at + 1, F.col("len")))
+    return full.join(sized(found), "phrase").filter(F.col("said") == F.col("terms")).select("row", "phrase", "start", "len", "items")
+
+
+def close_matches(index: Index, found: DataFrame, pairs: DataFrame, slop: int = SLOP) -> DataFrame:
+    """row, phrase, start, items: stretches of len + slop words, or fewer at the end of a text, that
+    hold a window's words in any order, as often as the window does. One row for each place of the
+    rarest term; start is that of the first such stretch."""
+    one, two = _lists(index, pairs)
+    extent = index.reach  # places further apart than this are in no stretch
+    one = one.select("phrase", "len", "row", "pos", "off", "off2", F.floor(F.col("pos") / extent).alias("cell"))
+    near = F.explode(F.sequence(F.floor(F.col("pos") / extent) - 1, F.floor(F.col("pos") / extent) + 1))
+    two = two.select("phrase", "row", F.col("pos").alias("pos2"), near.alias("cell"))
+    apart = F.abs(F.col("pos") - F.col("pos2"))
+    fits = (apart < F.col("len") + slop) & ((F.col("off") == F.col("off2")) | (apart > 0))
+    both = stored(one.join(two, ["phrase", "row", "cell"]).filter(fits).select("phrase", "len", "row", "pos").distinct(), "close-places")
+    full = _with_words(index, both).join(sized(found), "phrase")
+    at = F.least("pos", F.lit(index.reach))
+    often = lambda ws, t: F.size(F.filter(ws, lambda w: w == t))
+    held = lambda s: F.forall("terms", lambda t: often(F.slice("around", s + 1, F.col("len") + slop), t) >= often(F.col("terms"), t))
+    starts = F.filter(F.sequence(F.greatest(at - F.col("len") - slop + 1, F.lit(0)), at), held)
+    full = full.withColumn("starts", starts).filter(F.size("starts") > 0)
+    return full.select("row", "phrase", (F.col("pos") - at + F.col("starts")[0]).alias("start"), "terms", "items")
+
+
+def proximity_matches(docs: DataFrame, items: DataFrame, *, width: int = WIDTH, slop: int = SLOP) -> DataFrame:
+    """doc_id, start, phrase text, items of all close_matches of the windows of items in docs."""
     found, pairs = prepared(docs, items, width)
-    posted = postings(docs, pairs, slop)
-    both = posted.filter("phrase >= 0").join(sized(found), "phrase")
-    close = both.filter(F.size(F.array_except("terms", "around")) == 0)
+    index = build_index(docs, _keys(pairs), width - 1 + slop)
+    close = close_matches(index, found, pairs, slop).join(index.lengths.select("row", "doc_id"), "row")
     return close.select("doc_id", "start", F.concat_ws(" ", "terms").alias("phrase"), "items").distinct()
 
 
+def _keys(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.explode(F.array("key", "key2")).alias("key")).distinct()
+
+
 def prepared(docs: DataFrame, items: DataFrame, width: int) -> tuple[DataFrame, DataFrame]:
     found = stored(windows(items, width), "windows")
-    terms = found.select(F.explode("terms").alias("w")).select(F.lower("w").alias("key")).distinct()
-    counts = term_counts(docs, sized(terms))
-    return found, stored(rarest_pairs(found, counts), "rare-pairs")
+    terms = stored(found.select(F.explode("terms").alias("w")).select(F.lower("w").alias("key")).distinct(), "terms")
+    return found, stored(rarest_pairs(found, term_counts(docs, terms)), "rare-pairs")
 
 
 def clean(docs: DataFrame, items: DataFrame, **options) -> DataFrame:
@@ -126,17 +190,16 @@ def decontaminate(docs: DataFrame, items: DataFrame, *, width: int = WIDTH, mark
     columns are ignored.
     """
     found, pairs = prepared(docs, items, width)
-    posted = stored(postings(docs, pairs, keep=marks), "postings")
-    hits = exact_matches(posted, found)
+    index = build_index(docs, _keys(pairs), width - 1, marks)
+    hits = exact_matches(index, found, pairs)
     reach = F.max(F.col("start") + F.col("len")).over(Window.partitionBy("row").orderBy("start", F.desc("len")).rowsBetween(Window.unboundedPreceding, -1))
     new = F.greatest(F.lit(0), F.col("start") + F.col("len") - F.greatest("start", F.coalesce(reach, F.lit(0))))
     covered = hits.select("row", "start", "len").withColumn("new", new).groupBy("row").agg(F.sum("new").alias("hit"))
     named = hits.select("row", "items").distinct().select("row", F.explode("items").alias("item")).distinct()
     named = named.groupBy("row").agg(F.sort_array(F.collect_list("item")).alias("ids"))
-    ends = posted.filter("phrase = -1").select("row", "doc_id", *marks, F.col("start").cast("long").alias("n_words"))
     ids = F.coalesce("ids", F.array().cast("array<string>"))
     n_hit = F.coalesce("hit", F.lit(0)).cast("long")
-    return ends.join(covered, "row", "left").join(named, "row", "left").select(
+    return index.lengths.join(covered, "row", "left").join(named, "row", "left").select(
         "doc_id",
         "n_words",
         n_hit.alias("n_hit"),
@@ -147,6 +210,13 @@ def decontaminate(docs: DataFrame, items: DataFrame, *, width: int = WIDTH, mark
     )
 
 
+def decontamination_proximity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, n_close, n_items: places and items of the benchmark that documents hold closely."""
+    close = proximity_matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    each = close.select("doc_id", "start", F.explode("items").alias("item"))
+    return each.groupBy("doc_id").agg(F.countDistinct("start").alias("n_close"), F.countDistinct("item").alias("n_items"))
+
+
 def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 

@@ -18,6 +18,7 @@ from kgtrail.llm.op10_toxicity import op10_toxicity
 QUERIES = {
     "op1_bpe": op1_bpe,
     "op2_decontaminate": op2_decontaminate,
+    "decontamination_proximity": op2.decontamination_proximity,
     "op3_token_files": op3_token_files,
     "op4_chat_views": op4_chat_views,
     "op5_reshard": op5_reshard,
