@@ -1,9 +1,11 @@
 """Removal of every byte that lies in a 200-byte string which starts anywhere else too.
 
-Prefix-free parsing over a cluster: texts are cut at content-defined triggers into phrases; equal
-phrases are found by key, so long repeats never have to be compared; the phrases that agree only in
-their core are gathered by core in a dictionary whose suffixes are sorted. Exact copies of whole
-texts are settled first and count as one text from there on.
+Prefix-free parsing over a cluster: texts are cut at rolling-hash triggers into phrases, which make a
+dictionary with counts. All windows of a phrase that occurs twice repeat, so long repeats never have
+to be compared. Phrases that agree only in their core (the bytes that all their windows share) are
+gathered by core; there the suffix arrays of dictionary and parse are combined into the order of
+all suffixes, in which equal windows are neighbours. Exact copies of whole texts are settled first
+and count as one text from there on.
 """
 
 from __future__ import annotations
@@ -21,10 +23,10 @@ from kgtrail.llm.kernels import phrases as kernel
 from kgtrail.llm.op2_decontaminate import sized
 
 WIDTH = 200
-#: Dictionary phrases whose suffixes are sorted at once; a core with more is split by window.
-CHUNK = 8_000
-#: Distinct phrases of one core beyond which its windows are counted one by one.
-HOT = 50_000
+#: Dictionary phrases whose suffixes are sorted at once, whole cores each time.
+CHUNK = 6_000
+#: Distinct phrases of one core beyond which its windows are dealt out and counted one by one.
+HOT = 6_000
 RESULT = "row long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 
 
@@ -110,15 +112,16 @@ def repeated_spans(texts: DataFrame, *, width: int = WIDTH, chunk: int = CHUNK,
         raise ValueError("width is too small for its triggers")
     cuts = stored(texts.mapInArrow(_cutter(width), "core long, phrase long, row long, at int, lo short, hi short"), "phrases")
     # a window can only occur again if the core of its half does
-    cores = cuts.groupBy("core").agg(F.count("*").alias("k")).filter("k > 1").select("core")
+    # (written first: then both sides of the join are plain exchanges, and Spark splits a hot core)
+    cores = stored(cuts.groupBy("core").agg(F.count("*").alias("k")).filter("k > 1").select("core"), "cores")
     alive = stored(cuts.join(cores, "core", "left_semi"), "repeated-cores")
-    words = alive.groupBy("phrase").agg(F.count("*").alias("k"), F.min(F.struct("core", "row", "at", "lo", "hi")).alias("one"))
-    words = stored(words.select("phrase", (F.col("k") > 1).alias("many"), "one.*"), "dictionary")
+    words = alive.groupBy("core", "phrase").agg(F.count("*").alias("k"), F.min(F.struct("row", "at", "lo", "hi")).alias("one"))
+    words = stored(words.select("core", "phrase", (F.col("k") > 1).alias("many"), "one.*"), "dictionary")
     # all windows of a phrase that occurs twice occur twice
-    whole = alive.join(words.filter("many").select("phrase"), "phrase", "left_semi")
+    whole = alive.join(words.filter("many").select("core", "phrase"), ["core", "phrase"], "left_semi")
     whole = whole.select("row", (F.col("at") - F.col("hi")).cast("long").alias("start"), (F.col("at") - F.col("lo") + width).cast("long").alias("end"))
     # phrases that share their core but are not all equal
-    kinds = words.groupBy("core").agg(F.count("*").alias("kinds")).filter("kinds > 1")
+    kinds = stored(words.groupBy("core").agg(F.count("*").alias("kinds")).filter("kinds > 1"), "mixed-cores")
     mixed = words.join(kinds, "core")
     wanted = mixed.groupBy("row").agg(F.collect_list(F.struct("core", "phrase", "at", "lo", "hi", "many")).alias("wanted"))
     wanted = stored(wanted, "wanted")
@@ -161,7 +164,8 @@ def without_repeats(docs: DataFrame, *, width: int = WIDTH, **options) -> DataFr
     nothing. Strings are judged on the input and never cross texts; the other place may be in the
     same text and may overlap. Rows that repeat a doc_id are rows of their own, so a repeated row
     of `width` bytes or more is removed whole, in each place. A null doc_id is kept. An empty table
-    gives no rows; other columns are ignored. Phrases are matched by 64-bit keys.
+    gives no rows; other columns are ignored. Phrases are equal if both their keys are, that of the
+    core and that of all bytes (128 bits together); windows of mixed cores are compared by bytes.
     """
     given = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
     twice = given.groupBy("doc_id").agg(F.count("*").alias("k")).filter("k > 1 or doc_id is null")
