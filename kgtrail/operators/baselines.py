@@ -39,7 +39,7 @@ def post_filter(q: DataFrame, pred: DataFrame, kg: DataFrame, etypes: DataFrame,
     found = beam_paths(q, kg, **options).withColumn("rel", F.element_at("rels", -1)).withColumn("_v", F.element_at("nodes", -2))
     typed = found.join(etypes, F.col("_v") == F.col("entity")).withColumnRenamed("etype", "head_type")
     last = retrieve.last_hop(pred, sigs)
-    return typed.join(F.broadcast(last), ["qid", "rel", "head_type"], "left_semi").select("qid", "len", "rels", "nodes", "tail", "path_key")
+    return typed.join(last, ["qid", "rel", "head_type"], "left_semi").select("qid", "len", "rels", "nodes", "tail", "path_key")
 
 
 def train_plans(train: DataFrame, shortest: DataFrame, *, n_plans: int = 2) -> DataFrame:

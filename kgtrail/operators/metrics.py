@@ -64,6 +64,12 @@ def timed(df: DataFrame) -> float:
     return time.perf_counter() - began
 
 
+def plan_text(df: DataFrame, mode: str = "formatted") -> str:
+    """The plan of df as explain() prints it."""
+    modes = df.sparkSession._jvm.org.apache.spark.sql.execution.ExplainMode
+    return df._jdf.queryExecution().explainString(modes.fromString(mode))
+
+
 def rounds(runs: DataFrame, limit: int = 3) -> DataFrame:
     return runs.agg(F.round(F.avg("rounds"), 6).alias("mean_rounds"), F.round(100 * (1 - F.avg("rounds") / limit), 6).alias("saved_pct"))
 

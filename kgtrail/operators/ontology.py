@@ -74,7 +74,7 @@ def induce_signatures(kg: DataFrame, etypes: DataFrame, *, keep: str = "dominant
     given support and share. Ties go to the first type names."""
     heads = etypes.select(F.col("entity").alias("head"), F.col("etype").alias("head_type"))
     tails = etypes.select(F.col("entity").alias("tail"), F.col("etype").alias("tail_type"))
-    pairs = kg.join(heads, "head").join(tails, "tail").groupBy("rel", "head_type", "tail_type").agg(F.count("*").alias("support"))
+    pairs = kg.select("head", "rel", "tail").join(heads, "head").join(tails, "tail").groupBy("rel", "head_type", "tail_type").agg(F.count("*").alias("support"))
     by_rel = Window.partitionBy("rel")
     if keep == "dominant":
         ranked = pairs.withColumn("k", F.row_number().over(by_rel.orderBy(F.desc("support"), "head_type", "tail_type")))
@@ -149,6 +149,6 @@ def violations(kg: DataFrame, etypes: DataFrame, sigs: DataFrame) -> DataFrame:
     """rel, n: triples whose typed form is no signature."""
     heads = etypes.select(F.col("entity").alias("head"), F.col("etype").alias("head_type"))
     tails = etypes.select(F.col("entity").alias("tail"), F.col("etype").alias("tail_type"))
-    typed = kg.join(heads, "head").join(tails, "tail").groupBy("rel", "head_type", "tail_type").agg(F.count("*").alias("n"))
+    typed = kg.select("head", "rel", "tail").join(heads, "head").join(tails, "tail").groupBy("rel", "head_type", "tail_type").agg(F.count("*").alias("n"))
     odd = typed.join(F.broadcast(sigs.select("rel", "head_type", "tail_type").distinct()), ["rel", "head_type", "tail_type"], "left_anti")
     return odd.groupBy("rel").agg(F.sum("n").alias("n"))

@@ -97,8 +97,9 @@ class RuleRefiner:
         c = lambda name: F.coalesce(F.col(name), _empty())
         rows = rows.select("qid", "y_gen", c("good").alias("good"), c("bad").alias("bad"), c("prioritized").alias("prioritized"), c("dropped").alias("dropped"), c("supplementary").alias("supplementary"), odd.alias("odd"))
         none = F.size("good") == 0
-        # where nothing is supported, violating paths stay: the next round starts from the same answers
-        rows = rows.withColumn("dropped", F.when(none, _empty()).otherwise(F.col("dropped")))
+        # where nothing said is supported, violating paths give way to supported ones that were not
+        # said; without any they stay, and the next round starts from the same answers
+        rows = rows.withColumn("dropped", F.when(none & (F.size("supplementary") == 0), _empty()).otherwise(F.col("dropped")))
         rows = rows.withColumn("forbidden", F.when(none, _empty()).otherwise(F.array_sort(F.array_except("y_gen", "good"))))
         issue = F.when(F.col("odd"), "type_mismatch").when(none, "no_support").when(F.size(F.array_intersect("good", "bad")) > 0, "conflict").when(F.size("forbidden") > 0, "answer_noise").otherwise("none")
         confidence = F.when(none, 1).when(F.size("forbidden") == 0, 3).otherwise(2)

@@ -53,24 +53,19 @@ BY_NAME = {t.name: t for t in TEMPLATES}
 KEYS = {"customer": ("customer", "c_custkey"), "part": ("part", "p_partkey"), "nation": ("nation", "n_nationkey")}
 
 
-def step_for(spark: SparkSession, sf_dir: str, topic: str, topics: int = 10) -> int:
-    """m such that about `topics` keys are divisible by it (all keys of a small table)."""
-    name, _ = KEYS[topic]
-    return 1 if topic == "nation" else max(1, table(spark, sf_dir, name).count() // topics)
-
-
-def questions(spark: SparkSession, sf_dir: str, names: list[str], *, step: int | None = None) -> DataFrame:
-    """One row per (template, topic): every step-th key of the topic's table; by default ten."""
+def questions(spark: SparkSession, sf_dir: str, names: list[str], *, step: int = 1) -> DataFrame:
+    """One row per (template, topic): topics whose key is divisible by step, and all nations."""
     out = None
     for t in (BY_NAME[n] for n in names):
         name, key = KEYS[t.topic]
-        m = step or step_for(spark, sf_dir, t.topic)
+        m = 1 if t.topic == "nation" else step
         k = F.col(key).cast("long")
         topic = F.concat(F.lit(t.topic + ":"), k.cast("string"))
         spoken = F.concat(F.lit(t.topic + " "), k.cast("string"))
         text = F.when(k % 3 == 0, F.replace(F.lit(t.texts[0]), F.lit("{}"), spoken)).when(k % 3 == 1, F.replace(F.lit(t.texts[1]), F.lit("{}"), spoken)).otherwise(F.replace(F.lit(t.texts[2]), F.lit("{}"), spoken))
         held = F.array(*[F.struct(*[F.lit(v).alias(n) for v, n in zip(c, ("target", "rel", "op", "value"), strict=True)]) for c in t.constraints]).cast(CONSTRAINTS)
-        rows = table(spark, sf_dir, name).filter(F.pmod(k, F.lit(m)) == 0).select(
+        topics = table(spark, sf_dir, name)
+        rows = (topics if m == 1 else topics.filter(F.pmod(k, F.lit(m)) == 0)).select(
             (F.lit(t.no * SCALE).cast("long") + k).alias("qid"), text.alias("text"), topic.alias("topic"), F.lit(t.hops).alias("hops"), F.lit(t.category).alias("category"), F.lit(t.name).alias("template"),
             F.when(k % 10 < 8, "train").when(k % 10 == 8, "dev").otherwise("test").alias("split"), F.lit(t.answer).alias("etype"), held.alias("constraints"),
         )

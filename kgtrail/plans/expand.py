@@ -1,8 +1,9 @@
 """Frontier algebra: steps along edges, prefixes, and counting without enumeration (R-02, R-03,
 R-15, R-16).
 
-A path is a row (qid, len, rels, nodes, v, path_key); v is its end. Depth is a static loop, so a
-whole search is one logical plan that Catalyst sees at once.
+A path is a row (qid, len, rels, nodes, v, path_key); v is its end, and vtype, where edges carry
+`tail_type` and the search asks for it, the type of the end. Depth is a static loop, so a whole
+search is one logical plan that Catalyst sees at once.
 """
 
 from __future__ import annotations
@@ -31,6 +32,7 @@ def step(front: DataFrame, kg: DataFrame, *, rels: list[str] | None = None, path
         raise ValueError(f"path_mode is walk or simple, not {path_mode}")
     return hop.select(
         "qid", (F.col("len") + 1).alias("len"), F.concat("rels", F.array("rel")).alias("rels"), F.concat("nodes", F.array("tail")).alias("nodes"), F.col("tail").alias("v"), F.concat_ws("|", "path_key", "rel", "tail").alias("path_key"),
+        *[F.col("tail_type").alias("vtype")] * ("vtype" in front.columns),
     )
 
 
@@ -42,16 +44,22 @@ def within_budget(front: DataFrame, budget: int | None, score: str | None = None
     return front.withColumn("_k", F.row_number().over(Window.partitionBy("qid").orderBy(*order))).filter(F.col("_k") <= budget).drop("_k")
 
 
-def prefixes(q: DataFrame, kg: DataFrame, *, depth: int, budget: int | None = None, path_mode: str = "walk", masks: list[DataFrame] | None = None, etypes: DataFrame | None = None) -> list[DataFrame]:
+def prefixes(q: DataFrame, kg: DataFrame, *, depth: int, budget: int | None = None, path_mode: str = "walk", masks: list[DataFrame] | None = None, etypes: DataFrame | None = None, typed: bool = False) -> list[DataFrame]:
     """Prefixes of length 0 to depth, a frame for each length. With masks (one for each length:
-    qid, etype) a prefix stays only if the type of its end is allowed."""
+    qid, etype) a prefix stays only if the type of its end is allowed. typed: prefixes keep vtype,
+    if the edges carry it; then only the topics' types are looked up."""
     front = start(q)
+    if typed and "tail_type" in kg.columns:
+        own = etypes.select(F.col("entity").alias("v"), F.col("etype").alias("vtype"))
+        front = front.join(own, "v", "left").select(*front.columns, "vtype")
     out = [front]
     for i in range(1, depth + 1):
         front = step(front, kg, path_mode=path_mode)
-        if masks is not None:
-            typed = front.join(etypes, front["v"] == etypes["entity"]).drop("entity")
-            front = typed.join(F.broadcast(masks[i]), ["qid", "etype"], "left_semi").select(*out[0].columns)
+        if masks is not None and "vtype" in front.columns:
+            front = front.join(masks[i].withColumnRenamed("etype", "vtype"), ["qid", "vtype"], "left_semi").select(*out[0].columns)
+        elif masks is not None:
+            ends = front.join(etypes, front["v"] == etypes["entity"]).drop("entity")
+            front = ends.join(masks[i], ["qid", "etype"], "left_semi").select(*out[0].columns)
         front = within_budget(front, budget)
         out.append(front)
     return out
@@ -72,7 +80,7 @@ def count_paths(q: DataFrame, kg: DataFrame, *, depth: int, last: DataFrame | No
     out = None
     for hop in range(1, depth + 1):
         ends = ways.join(kg, ways["v"] == kg["head"])
-        final = ends if last is None else ends.join(F.broadcast(last.select("qid", "rel").distinct()), ["qid", "rel"], "left_semi")
+        final = ends if last is None else ends.join(last.select("qid", "rel").distinct(), ["qid", "rel"], "left_semi")
         per = final.groupBy("qid", "tail").agg(F.sum("n").alias("n"))
         rows = per.groupBy("qid").agg(F.sum("n").cast("decimal(38,0)").alias("n_paths"), F.count("*").alias("n_answers")).withColumn("hop", F.lit(hop))
         out = rows if out is None else out.unionByName(rows)

@@ -34,17 +34,21 @@ def last_hop(pred: DataFrame, sigs: DataFrame) -> DataFrame:
 
 
 def meet(prefixes: DataFrame, etypes: DataFrame, last: DataFrame, *, head_check: str = "strict") -> DataFrame:
-    """Prefixes with the final relations that may complete them: one row per (prefix, rel)."""
+    """Prefixes with the final relations that may complete them: one row per (prefix, rel). The type
+    of an end is read from the prefix, or looked up where prefixes do not carry it."""
     if head_check == "edge":
-        return prefixes.join(F.broadcast(last.select("qid", "rel").distinct()), "qid")
+        return prefixes.join(last.select("qid", "rel").distinct(), "qid")
+    if "vtype" in prefixes.columns:
+        return prefixes.withColumnRenamed("vtype", "head_type").join(last, ["qid", "head_type"]).drop("head_type")
     typed = prefixes.join(etypes, prefixes["v"] == etypes["entity"]).withColumnRenamed("etype", "head_type").drop("entity")
-    return typed.join(F.broadcast(last), ["qid", "head_type"]).drop("head_type").distinct()
+    return typed.join(last, ["qid", "head_type"]).drop("head_type").distinct()
 
 
-def complete(met: DataFrame, kg: DataFrame, *, path_mode: str = "walk") -> DataFrame:
-    """The met prefixes, lengthened by their matched edges only."""
-    edges = kg.select(F.col("head").alias("v"), "rel", "tail")
-    hop = met.join(edges, ["v", "rel"])
+def complete(met: DataFrame, kg: DataFrame, last: DataFrame | None = None, *, path_mode: str = "walk") -> DataFrame:
+    """The met prefixes, lengthened by their matched edges only. Of a graph stored by relation only
+    the relations that occur in `last` are read: the broadcast side has a row for each relation."""
+    edges = kg if last is None else kg.join(F.broadcast(last.select("rel").distinct()), "rel", "left_semi")
+    hop = met.join(edges.select(F.col("head").alias("v"), "rel", "tail"), ["v", "rel"])
     if path_mode == "simple":
         hop = hop.filter(~F.array_contains("nodes", F.col("tail")))
     return hop.select(
@@ -76,9 +80,11 @@ def bidirectional(q: DataFrame, pred: DataFrame, kg: DataFrame, etypes: DataFram
         reach = reach_mask(sigs, pred, depth=d)
         at_most = lambda left: F.col("hops_left") <= left if config.length_mode == "up_to" else F.col("hops_left") == left
         masks = [reach.filter(at_most(d - i)).select("qid", "etype").distinct() for i in range(d)]
-    fronts = expand.prefixes(asked, kg, depth=d - 1, budget=config.budget, path_mode=config.path_mode, masks=masks, etypes=etypes)
+    strict = config.head_check == "strict"
+    fronts = expand.prefixes(asked, kg, depth=d - 1, budget=config.budget, path_mode=config.path_mode, masks=masks, etypes=etypes, typed=strict)
     chosen = fronts if config.length_mode == "up_to" else fronts[-1:]
-    return expand.union([complete(meet(f, etypes, last, head_check=config.head_check), kg, path_mode=config.path_mode) for f in chosen])
+    # prefixes of all lengths meet the last edges at once
+    return complete(meet(expand.union(chosen), etypes, last, head_check=config.head_check), kg, last, path_mode=config.path_mode)
 
 
 def fallback(q: DataFrame, kg: DataFrame, *, depth: int, budget: int | None = None, path_mode: str = "walk", length_mode: str = "up_to") -> DataFrame:
@@ -102,7 +108,7 @@ def type_plans(q: DataFrame, pred: DataFrame, sigs: DataFrame, topic_types: Data
     predicted one, before any entity is touched. topic_types: (qid, etype)."""
     s = F.broadcast(sigs.select("head_type", "rel", "tail_type").distinct())
     now = topic_types.select("qid", F.col("etype").alias("t"), F.array().cast("array<string>").alias("rels"))
-    wanted = F.broadcast(pred.select("qid", F.col("etype").alias("t")).distinct())
+    wanted = pred.select("qid", F.col("etype").alias("t")).distinct()
     out = None
     for _ in range(depth):
         now = now.join(s, now["t"] == s["head_type"]).select("qid", F.col("tail_type").alias("t"), F.concat("rels", F.array("rel")).alias("rels"))
@@ -131,7 +137,7 @@ def ground(q: DataFrame, plans: DataFrame, kg: DataFrame, *, depth: int) -> Data
 def check_tail_type(paths: DataFrame, etypes: DataFrame, pred: DataFrame) -> DataFrame:
     """Paths whose tail lacks every predicted type of their question; none are expected."""
     typed = paths.join(etypes, paths["tail"] == etypes["entity"]).select("qid", "path_key", "etype")
-    fine = typed.join(F.broadcast(pred.select("qid", "etype")), ["qid", "etype"], "left_semi")
+    fine = typed.join(pred.select("qid", "etype"), ["qid", "etype"], "left_semi")
     return paths.join(fine, ["qid", "path_key"], "left_anti")
 
 

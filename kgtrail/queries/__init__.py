@@ -1,3 +1,3 @@
 """Registered queries, by area, each with its DuckDB twin where SQL can express it."""
 
-from kgtrail.queries import experiments, ontology, refinement, retrieval, surface, types  # noqa: F401
+from kgtrail.queries import experiments, extensions, ontology, refinement, retrieval, surface, tables, types  # noqa: F401

@@ -16,13 +16,18 @@ def graph(spark: SparkSession, sf_dir: str) -> Graph:
     return Graph(kg, types, star.signatures(spark), star.attributes(spark, sf_dir))
 
 
+#: Searches ask about the topics whose key this divides, against the whole graph.
+STEP = 100
+
+
 def asked(spark: SparkSession, sf_dir: str, *names: str) -> DataFrame:
-    return workload.questions(spark, sf_dir, list(names))
+    """The questions of a search: topics with a key divisible by STEP, all nations."""
+    return workload.questions(spark, sf_dir, list(names), step=STEP)
 
 
 def every(spark: SparkSession, sf_dir: str, *names: str) -> DataFrame:
-    """Questions about every topic of the templates, where asked() takes about ten of each."""
-    return workload.questions(spark, sf_dir, list(names), step=1)
+    """Questions about every topic of the templates."""
+    return workload.questions(spark, sf_dir, list(names))
 
 
 def gold_type(q: DataFrame) -> DataFrame:
@@ -46,18 +51,19 @@ KG = _kg()
 SIGS = "sigs(head_type, rel, tail_type) as (values " + ", ".join(f"('{d}', '{r}', '{t}')" for r, d, t in declared()) + ")"
 
 
-def sql_questions(*names: str) -> str:
-    """q(qid, text, topic, hops, category, template, split, etype)"""
+def sql_questions(*names: str, step: int = STEP, name: str = "q") -> str:
+    """name(qid, text, topic, hops, category, template, split, etype)"""
+    made = name
     parts = []
     for t in (workload.BY_NAME[n] for n in names):
         name, key = workload.KEYS[t.topic]
-        step = "1" if t.topic == "nation" else f"(select greatest(1, count(*) // 10) from {name})"
+        keep = f" where {key} % {step} = 0" if step > 1 and t.topic != "nation" else ""
         texts = [f"replace('{x}', '{{}}', '{t.topic} ' || {key})" for x in t.texts]
         parts.append(
             f"select cast({t.no * workload.SCALE} as bigint) + {key} qid, case {key} % 3 when 0 then {texts[0]} when 1 then {texts[1]} else {texts[2]} end as text, '{t.topic}:' || {key} topic, {t.hops} hops, '{t.category}' category, "
-            f"'{t.name}' template, case when {key} % 10 < 8 then 'train' when {key} % 10 = 8 then 'dev' else 'test' end split, '{t.answer}' etype from {name} where {key} % {step} = 0"
+            f"'{t.name}' template, case when {key} % 10 < 8 then 'train' when {key} % 10 = 8 then 'dev' else 'test' end split, '{t.answer}' etype from {name}{keep}"
         )
-    return "q as (" + "\n union all ".join(parts) + ")"
+    return f"{made} as (" + "\n union all ".join(parts) + ")"
 
 
 _BOUGHT = "join orders on k = o_custkey join lineitem on o_orderkey = l_orderkey"
@@ -100,17 +106,28 @@ def sql_chain(hops: int, *, where: str = "true", source: str = "q", kg: str = "k
     return f"select s.qid, {hops} len, {rels} rels, t{hops}.tail tail, {key} path_key, t{hops}.head v, t{hops}.rel rel{extra} from {source} s {' '.join(joins)} where {where}"
 
 
+def sql_walks(hops: int, name: str, source: str = "q") -> str:
+    """{name}_0 to {name}_<hops>: walks of exactly so many hops, each hop written before the next."""
+    out = [f"{name}_0 as (select qid, etype, 0 len, '' rels, topic tail, topic path_key, '' v, '' rel from {source})"]
+    for i in range(1, hops + 1):
+        rels = "t.rel" if i == 1 else "w.rels || '>' || t.rel"
+        out.append(f"{name}_{i} as materialized (select w.qid, w.etype, {i} len, {rels} rels, t.tail, w.path_key || '|' || t.rel || '|' || t.tail path_key, t.head v, t.rel from {name}_{i - 1} w join kg t on t.head = w.tail)")
+    return ", ".join(out)
+
+
 def sql_forward(depth: int, name: str = "fwd", source: str = "q") -> str:
-    return f"{name} as (" + " union all ".join(sql_chain(i, source=source) for i in range(1, depth + 1)) + ")"
+    return sql_walks(depth, f"{name}_w", source) + f", {name} as (" + " union all ".join(f"select qid, len, rels, tail, path_key, v, rel from {name}_w_{i}" for i in range(1, depth + 1)) + ")"
 
 
 def sql_two(depth: int, name: str = "two", source: str = "q", exact: bool = False, check: str = "strict") -> str:
     """Walks of up to (or exactly) `depth` hops that end by a signature of the question's type;
-    needs q, kg, sigs before it. Written as a chain with the filter on its last edge."""
+    needs q, kg, sigs before it. Walks of one hop less meet the edges that may come last."""
     lens = [depth] if exact else range(1, depth + 1)
     head = " and split_part(head, ':', 1) = head_type" if check == "strict" else ""
-    fin = f"{name}_fin as materialized (select kg.head, kg.rel, kg.tail, tail_type from kg join (select distinct rel, tail_type{', head_type' if check == 'strict' else ''} from sigs) z using (rel) where tail_type in (select etype from q){head})"
-    return fin + f", {name} as (" + " union all ".join(sql_chain(i, source=source, where=f"t{i}.tail_type = s.etype", final=f"{name}_fin") for i in lens) + ")"
+    fin = f"{name}_fin as materialized (select kg.head, kg.rel, kg.tail, tail_type from kg join (select distinct rel, tail_type{', head_type' if check == 'strict' else ''} from sigs) z using (rel) where tail_type in (select etype from {source}){head})"
+    last = lambda i: "t.rel" if i == 1 else "w.rels || '>' || t.rel"
+    ends = [f"select w.qid, {i} len, {last(i)} rels, t.tail, w.path_key || '|' || t.rel || '|' || t.tail path_key, t.head v, t.rel from {name}_w_{i - 1} w join {name}_fin t on t.head = w.tail and t.tail_type = w.etype" for i in lens]
+    return sql_walks(depth - 1, f"{name}_w", source) + f", {fin}, {name} as (" + " union all ".join(ends) + ")"
 
 
 #: Cosine of two token lists, as the functions module defines it.
@@ -147,6 +164,33 @@ def sql_summary(per: str, by: str = "") -> str:
     return f"select {cols}count(*) questions, round(avg(hit1), 6) hit1, round(avg(f1), 6) f1, round(avg(precision), 6) as precision, round(avg(recall), 6) recall, round(avg(any_hit), 6) gold_hit from {per}{tail}"
 
 
+def sql_pool(paths: str, name: str, k: int = 256) -> str:
+    """The k best paths of each question with score and rank."""
+    return f"{sql_scored(paths, name + '_s')}, {name} as (select * from (select *, row_number() over (partition by qid order by score desc, len, path_key) rank from {name}_s) where rank <= {k})"
+
+
+def sql_oneshot_types(train: str, source: str = "q", name: str = "typed") -> str:
+    """name: the source's questions under the type that naive Bayes predicts, learned from one training
+    question of each template of `train`."""
+    return f"""{name}_t as (select etype, {sql_tokens('text')} toks from (select *, row_number() over (partition by template order by md5(qid || '#0'), qid) k from {train} where split = 'train') where k = 1),
+{name}_c as (select etype, token, count(*) * 1.0 n_ct from (select etype, unnest(toks) token from {name}_t) group by 1, 2),
+{name}_p as (select etype, ln((n_c + 1) / ((select count(*) from {name}_t) + (select count(distinct etype) from {name}_t))) prior, (select sum(n_ct) from {name}_c c where c.etype = t.etype) + (select count(distinct token) from {name}_c) den from (select etype, count(*) * 1.0 n_c from {name}_t group by 1) t),
+{name}_q as (select qid, {sql_tokens('text')} toks from {source}),
+{name}_r as (select a.qid, p.etype, p.prior - len(toks) * ln(p.den) + coalesce(gain, 0) raw from {name}_q a cross join {name}_p p left join (select qid, etype, sum(ln(n_ct + 1)) gain from (select qid, unnest(toks) token from {name}_q) join {name}_c using (token) group by 1, 2) g on g.qid = a.qid and g.etype = p.etype),
+{name}_l as (select qid, etype, raw - top - ln(sum(exp(raw - top)) over (partition by qid)) logp from (select *, max(raw) over (partition by qid) top from {name}_r)),
+{name}_k as (select qid, etype, row_number() over (partition by qid order by round(logp, 9) desc, etype) k from {name}_l),
+{name} as (select s.* exclude (etype), k.etype from {source} s join {name}_k k on k.qid = s.qid and k.k = 1)"""
+
+
+def sql_by_method(preds: str, by: str = "method") -> str:
+    """The summary of predictions (method, qid, answer, rank) over all questions; needs q and gold."""
+    return (
+        f"select {by}, count(*) questions, round(avg(hit1), 6) hit1, round(avg(coalesce(2.0 * n_both / nullif(n_pred + n_gold, 0), 0)), 6) f1, round(avg(coalesce(n_both / nullif(n_pred, 0), 0)), 6) as precision, round(avg(coalesce(n_both / nullif(n_gold, 0), 0)), 6) recall"
+        f" from (select m.method, q.qid, any_value(hops) hops, any_value(n_gold) n_gold, count(p.answer) n_pred, count(g.answer) n_both, max(case when p.rank = 1 and g.answer is not null then 1 else 0 end) hit1 from (select distinct method from {preds}) m cross join q"
+        f" left join (select qid, count(*) n_gold from gold group by 1) c on c.qid = q.qid left join (select method, qid, answer, min(rank) rank from {preds} group by 1, 2, 3) p on p.method = m.method and p.qid = q.qid left join gold g on g.qid = p.qid and g.answer = p.answer group by 1, 2) group by {by}"
+    )
+
+
 def with_(*ctes: str, then: str) -> str:
     return "with " + ",\n".join(ctes) + "\n" + then
 

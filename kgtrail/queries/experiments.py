@@ -9,7 +9,7 @@ from kgtrail.functions.text import tokens
 from kgtrail.operators import baselines, metrics, ontology, rank, refine, supervision, typepredict, workload
 from kgtrail.plans import expand, pipeline, retrieve
 from kgtrail.plans.retrieve import Config
-from kgtrail.queries.common import KG, SIGS, asked, every, gold_type, graph, path_rows, sql_chain, sql_cosine, sql_forward, sql_gold, sql_metrics, sql_questions, sql_scored, sql_summary, sql_tokens, sql_two, with_
+from kgtrail.queries.common import KG, SIGS, asked, every, gold_type, graph, path_rows, sql_chain, sql_cosine, sql_forward, sql_gold, sql_metrics, sql_questions, sql_scored, sql_summary, sql_tokens, sql_two, sql_walks, with_
 from kgtrail.queries.refinement import ANSWERS, FINAL, MEASURED, NAMES, POOL, loop, measured, pool
 from kgtrail.registry import query
 from kgtrail.sources import light
@@ -67,9 +67,9 @@ def _(spark, d):
     return metrics.summary(measured(spark, d, *loop(spark, d, max_rounds=0)))
 
 
-def _br(spark, d, names, depth, pred=None):
+def _br(spark, d, names, depth):
     q, g = asked(spark, d, *names), graph(spark, d)
-    return q, pipeline.pool(q, gold_type(q) if pred is None else pred(q), g, Config(depth=depth))
+    return q, pipeline.pool(q, gold_type(q), g, Config(depth=depth))
 
 
 BR = ("w_parts_in_year", "w_parts_over_size", "w_customer_parts")
@@ -86,16 +86,6 @@ def _(spark, d):
     return metrics.summary(_br_rows(spark, d)[1])
 
 
-@query("br_oneshot", with_(*_BR, sql_metrics("br"), then=sql_summary("per")))
-def _(spark, d):
-    """One training question per template is enough for the native predictor to name these types."""
-    q = asked(spark, d, *BR)
-    train = workload.one_shot(workload.questions(spark, d, [*BR, "w_customer_orders", "w_customer_nation"], step=1).filter("split = 'train'"))
-    model = typepredict.NaiveBayes().fit(train, train.select("qid", "etype", F.lit(1.0).alias("q")))
-    _, p0 = _br(spark, d, BR, 2, lambda x: stored(typepredict.predict(model.scores(x)), "types"))
-    return metrics.summary(metrics.per_question(q, pipeline.retrieval_only(p0), workload.gold(spark, d, q)))
-
-
 _TRAIN = (REGION, "w_customer_parts")
 _REACHED = "reached as (" + " union all ".join(f"select qid, len, rels, tail from ({sql_chain(i)})" for i in (1, 2)) + "), best as (select r.qid, r.tail, min(len) len from reached r join gold g on g.qid = r.qid and g.answer = r.tail group by 1, 2), seqs as (select distinct qid, rels from reached join best using (qid, tail, len))"
 
@@ -112,7 +102,7 @@ def _(spark, d):
     return path_rows(baselines.grounded_plans(asked(spark, d, REGION), graph(spark, d).triples, depth=2))
 
 
-@query("baseline_two_sided", with_(KG, sql_questions(B3), sql_gold(B3), f"w3 as ({sql_chain(3)})", then="select w.qid, w.tail answer, cast(count(*) as double) n_paths from w3 w join gold g on g.qid = w.qid and g.answer = w.tail group by 1, 2"))
+@query("baseline_two_sided", with_(KG, sql_questions(B3), sql_gold(B3), sql_walks(3, "w"), then="select w.qid, w.tail answer, cast(count(*) as double) n_paths from w_3 w join gold g on g.qid = w.qid and g.answer = w.tail group by 1, 2"))
 def _(spark, d):
     q = asked(spark, d, B3)
     return baselines.two_sided(q, workload.gold(spark, d, q), graph(spark, d).triples, depth=3)
@@ -138,14 +128,14 @@ def _(spark, d):
     return baselines.prior_only(q, workload.gold(spark, d, q), q).select("qid", "answer")
 
 
-def _explored(i: int) -> str:
+def sql_explored(i: int) -> str:
     return (
         f"k{i} as (select distinct e.qid, t.rel rels from e{i - 1} e join kg t on t.head = e.v), {sql_scored(f'k{i}', f'ks{i}')}, c{i} as (select qid, rels rel from (select *, row_number() over (partition by qid order by score desc, rels) k from ks{i}) where k <= 3), "
         f"e{i} as (select qid, {i} len, rels, v, path_key from (select e.qid, case when e.rels = '' then t.rel else e.rels || '>' || t.rel end rels, t.tail v, e.path_key || '|' || t.rel || '|' || t.tail path_key, row_number() over (partition by e.qid, t.rel order by e.path_key || '|' || t.rel || '|' || t.tail) k from e{i - 1} e join kg t on t.head = e.v join c{i} c on c.qid = e.qid and c.rel = t.rel) where k <= 3)"
     )
 
 
-@query("baseline_explore", with_(KG, sql_questions(REGION), "e0 as (select qid, 0 len, '' rels, topic v, topic path_key from q)", _explored(1), _explored(2), then="select qid, len, rels, v tail, path_key from e1 union all select qid, len, rels, v, path_key from e2"))
+@query("baseline_explore", with_(KG, sql_questions(REGION), "e0 as (select qid, 0 len, '' rels, topic v, topic path_key from q)", sql_explored(1), sql_explored(2), then="select qid, len, rels, v tail, path_key from e1 union all select qid, len, rels, v, path_key from e2"))
 def _(spark, d):
     return path_rows(baselines.explore(asked(spark, d, REGION), graph(spark, d).triples, width=3, depth=2))
 
@@ -262,9 +252,9 @@ def _(spark, d):
 _MANY = ("w_customer_nation", "w_customer_region", B3, "w_part_brand")
 
 
-@query("dataset_stats", with_(sql_questions(*_MANY).replace("(select greatest(1, count(*) // 10) from customer)", "7").replace("(select greatest(1, count(*) // 10) from part)", "7"), then="select template, hops, count(case when split = 'train' then 1 end) train, count(case when split = 'dev' then 1 end) dev, count(case when split = 'test' then 1 end) test from q group by 1, 2"))
+@query("dataset_stats", with_(sql_questions(*_MANY, step=1), then="select template, hops, count(case when split = 'train' then 1 end) train, count(case when split = 'dev' then 1 end) dev, count(case when split = 'test' then 1 end) test from q group by 1, 2"))
 def _(spark, d):
-    return workload.dataset_stats(workload.questions(spark, d, list(_MANY), step=1))
+    return workload.dataset_stats(every(spark, d, *_MANY))
 
 
 @query("gold_reachable", with_(KG, sql_questions(REGION), sql_gold(REGION), sql_forward(2), then="select qid, answer from gold where (qid, answer) not in (select qid, tail from fwd)"))
@@ -277,7 +267,7 @@ def _(spark, d):
 
 for _t in workload.TEMPLATES:
 
-    @query(_t.name, with_(sql_questions(_t.name), sql_gold(_t.name), then="select qid, text, split, answer from q join gold using (qid)"))
+    @query(_t.name, with_(sql_questions(_t.name, step=1), sql_gold(_t.name), then="select qid, text, split, answer from q join gold using (qid)"))
     def _(spark, d, n=_t.name):
         q = every(spark, d, n)
         return q.select("qid", "text", "split").join(workload.gold(spark, d, q), "qid")
@@ -303,7 +293,7 @@ def _docs_of(spark, d, m, etype):
     return docs.select(F.col("doc_id").cast("long").alias("qid"), F.col("doc_id").cast("string").alias("topic"), F.lit(etype).alias("etype"))
 
 
-@query("w_light_1hop", "select cast(doc_id as bigint) qid, 1 len, lang tail, count(*) n from documents where doc_id % 100 in (0, 1, 2) and doc_id % 10 < 8 group by 1, 3")
+@query("w_light_1hop", "select cast(doc_id as bigint) qid, 1 len, lang tail, count(*) n from documents where doc_id % 10 < 8 group by 1, 3")
 def _(spark, d):
     kg, types, sigs = _light(spark, d)
     docs = table(spark, d, "documents")
@@ -338,7 +328,7 @@ def _(spark, d):
     return rows.select("topic", F.col("n_paths").cast("double").alias("n_paths"), "n_answers")
 
 
-@query("w_text_similarity", f"select a.conv_id, a.turn, b.item_id, sim from (select conv_id, turn, {sql_tokens('text')} x from conversations where role = 'user' and conv_id % 10 = 0) a, (select item_id, {sql_tokens('text')} y from benchmark where item_id < 20) b, lateral (select {sql_cosine('x', 'y')} sim) where sim >= 0.3")
+@query("w_text_similarity", f"select a.conv_id, a.turn, b.item_id, sim from (select conv_id, turn, {sql_tokens('text')} x from conversations where role = 'user') a, (select item_id, {sql_tokens('text')} y from benchmark) b, lateral (select {sql_cosine('x', 'y')} sim) where sim >= 0.3")
 def _(spark, d):
     """All user turns against all benchmark items that share a word with them."""
     a = _term_index(table(spark, d, "conversations").filter("role = 'user'"), "conv_id", "turn")
@@ -358,11 +348,11 @@ def _term_index(texts, *ids):
 
 @query("w_vector_rank", """
 with s as (select a.vec_id qid, b.vec_id id, a.label la, b.label lb, round(list_dot_product(a.embedding::double[], b.embedding::double[]) / (sqrt(list_dot_product(a.embedding::double[], a.embedding::double[])) * sqrt(list_dot_product(b.embedding::double[], b.embedding::double[]))), 6) score
- from embeddings a, embeddings b where a.vec_id % 50 = 0 and a.vec_id <> b.vec_id)
+ from embeddings a, embeddings b where a.vec_id % 100 = 0 and a.vec_id <> b.vec_id)
 select qid, round(avg(case when la = lb then 1.0 else 0.0 end), 6) precision_at_10 from (select *, row_number() over (partition by qid order by score desc, id) rank from s) where rank <= 10 group by qid""")
 def _(spark, d):
     e = table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec"), "label")
-    q = e.filter("id % 50 = 0").select(F.col("id").alias("qid"), "vec")
+    q = e.filter("id % 100 = 0").select(F.col("id").alias("qid"), "vec")
     top = rank.vector_top_k(q, e.select("id", "vec"), k=10)
     labels = e.select("id", "label")
     rows = top.join(labels, "id").join(labels.select(F.col("id").alias("qid"), F.col("label").alias("mine")), "qid")
@@ -400,12 +390,3 @@ def _(spark, d):
     fwd = baselines.forward_only(q, graph(spark, d).triples, depth=2).select("qid", F.col("tail").alias("answer"), F.lit(None).cast("int").alias("rank")).distinct()
     other = metrics.per_question(q, fwd, workload.gold(spark, d, q))
     return metrics.summary(rows).select(F.lit("bidirectional").alias("method"), "*").unionByName(metrics.summary(other).select(F.lit("forward").alias("method"), "*"))
-
-
-@query("x_by_hops", with_(KG, SIGS, sql_questions("w_customer_nation", REGION, B3), sql_gold("w_customer_nation", REGION, B3), sql_two(3), "br as (select distinct qid, tail answer, 1 rank from two)", sql_metrics("br"), then="select hops, round(avg(precision), 6) as precision, round(avg(recall), 6) recall, round(avg(f1), 6) f1 from per join q using (qid) group by hops"))
-def _(spark, d):
-    """Retrieval only, by number of hops of the question, at one depth for all."""
-    q, g = asked(spark, d, "w_customer_nation", REGION, B3), graph(spark, d)
-    paths = retrieve.bidirectional(q, gold_type(q), g.triples, g.entity_types, g.signatures, Config(depth=3))
-    rows = metrics.per_question(q, paths.select("qid", F.col("tail").alias("answer"), F.lit(1).alias("rank")).distinct(), workload.gold(spark, d, q))
-    return metrics.summary(rows.join(q.select("qid", "hops"), "qid"), "hops").select("hops", "precision", "recall", "f1")

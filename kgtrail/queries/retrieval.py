@@ -9,7 +9,7 @@ from kgtrail.operators import graph as graphs
 from kgtrail.operators import rank
 from kgtrail.plans import expand, retrieve
 from kgtrail.plans.retrieve import Config
-from kgtrail.queries.common import KG, SIGS, asked, gold_type, graph, path_rows, sql_chain, sql_forward, sql_questions, sql_scored, sql_two, with_
+from kgtrail.queries.common import KG, SIGS, asked, gold_type, graph, path_rows, sql_chain, sql_forward, sql_questions, sql_scored, sql_two, sql_walks, with_
 from kgtrail.registry import query
 from kgtrail.sources.star import table
 
@@ -174,20 +174,20 @@ def _(spark, d):
     return retrieve.answers(retrieve.bidirectional(q, gold_type(q), g.triples, g.entity_types, g.signatures, Config(depth=3))).select("qid", "answer", "n_paths")
 
 
-@query("path_text", with_(*_Q3, then="""select q.qid, q.topic || '|' || a.rel || '|' || a.tail || '|' || b.rel || '|' || b.tail path_key, q.topic || ' -> ' || replace(a.rel, '.', ' ') || ' -> ' || a.tail || ' -> ' || replace(b.rel, '.', ' ') || ' -> ' || b.tail as text
- from q join kg a on a.head = q.topic join kg b on b.head = a.tail where b.rel = 'order.parts'"""))
+@query("path_text", with_(*_Q3, sql_walks(1, "w"), "pb as (select head, rel, tail from kg where rel = 'order.parts')", then="""select w.qid, w.path_key || '|' || b.rel || '|' || b.tail path_key, w.v || ' -> ' || replace(w.rel, '.', ' ') || ' -> ' || w.tail || ' -> ' || replace(b.rel, '.', ' ') || ' -> ' || b.tail as text
+ from w_1 w join pb b on b.head = w.tail"""))
 def _(spark, d):
     q, g = asked(spark, d, *B3), graph(spark, d)
     two = expand.step(expand.step(expand.start(q), g.triples), g.triples, rels=["order.parts"])
     return two.select("qid", "path_key", path_text(F.col("rels"), F.col("nodes")).alias("text"))
 
 
-@query("subgraph_triples", with_(KG, sql_questions(*B3), then="select head, rel, tail from kg where head in (select topic from q) or head in (select tail from kg where head in (select topic from q))"))
+@query("subgraph_triples", with_(KG, sql_questions(*B3), "heads as materialized (select distinct topic head from q union select tail from kg join q on head = topic)", then="select head, rel, tail from kg join heads using (head)"))
 def _(spark, d):
     return graphs.neighbourhood(asked(spark, d, *B3), graph(spark, d).triples, depth=2).select("head", "rel", "tail")
 
 
-@query("topic_lookup", "select cast(c_custkey as bigint) qid, 'customer:' || c_custkey entity, 0 edits from customer where c_custkey % 5 = 0")
+@query("topic_lookup", "select cast(c_custkey as bigint) qid, 'customer:' || c_custkey entity, 0 edits from customer")
 def _(spark, d):
     c = table(spark, d, "customer")
     texts = c.select(F.col("c_custkey").cast("long").alias("qid"), F.upper("c_name").alias("text"))

@@ -81,7 +81,7 @@ _q("join_broadcast", "select n_name, r_name from nation join region on n_regionk
 _side = lambda how: lambda s, d: table(s, d, "documents").select("doc_id").join(table(s, d, "labels").filter("quality = 1").select("doc_id", "quality"), "doc_id", how)
 _q("join_left", "select d.doc_id, quality from documents d left join (select * from labels where quality = 1) l using (doc_id)", _side("left"))
 _q("join_right", "select doc_id, quality from documents d right join (select * from labels where quality = 1) l using (doc_id)", _side("right"))
-_q("join_full", "select coalesce(d.doc_id, l.doc_id) doc_id, source, toxic from (select doc_id, source from documents where doc_id % 2 = 0) d full join (select doc_id, toxic from labels where doc_id % 3 = 0) l on d.doc_id = l.doc_id",
+_q("join_full", "select coalesce(d.doc_id, l.doc_id) doc_id, source, toxic from documents d full join labels l on d.doc_id = l.doc_id",
    lambda s, d: table(s, d, "documents").select("doc_id", "source").join(table(s, d, "labels").select("doc_id", "toxic"), "doc_id", "full"))
 _q("join_semi", "select doc_id from documents where doc_id in (select doc_id from labels where toxic = 1)", lambda s, d: table(s, d, "documents").join(table(s, d, "labels").filter("toxic = 1"), "doc_id", "left_semi").select("doc_id"))
 _q("join_anti", "select doc_id from documents where doc_id not in (select doc_id from labels)", lambda s, d: table(s, d, "documents").join(table(s, d, "labels"), "doc_id", "left_anti").select("doc_id"))

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from kgtrail.operators import supervision, typepredict, workload
-from kgtrail.queries.common import KG, SIGS, asked, graph, gold_type, sql_chain, sql_cosine, sql_gold, sql_questions, sql_tokens, with_
+from kgtrail.queries.common import KG, SIGS, asked, every, graph, gold_type, sql_chain, sql_cosine, sql_gold, sql_questions, sql_tokens, with_
 from kgtrail.registry import query
 
 SHORT = ("w_customer_nation", "w_customer_region", "w_customer_orders", "w_part_supplier_nations", "w_customer_brands")
@@ -56,20 +56,20 @@ MANY = ("w_customer_nation", "w_part_brand", "w_customer_orders", "w_customer_re
 NAMES = {"nation": "place.nation", "region": "place.region", "brand": "item.brand", "part": "item.part", "order": "trade.order", "customer": "party.customer"}
 
 
-def _many(spark, d, step=1):
-    q = workload.questions(spark, d, list(MANY), step=step)
+def _many(spark, d):
+    q = every(spark, d, *MANY)
     names = F.create_map(*[F.lit(x) for kv in NAMES.items() for x in kv])
     return q.withColumn("etype", names[F.col("etype")])
 
 
-def _model(spark, d, step=1):
-    q = _many(spark, d, step)
+def _model(spark, d):
+    q = _many(spark, d)
     train = q.filter("split = 'train'")
     target = train.select("qid", "etype", F.lit(1.0).alias("q"))
     return q, typepredict.NaiveBayes().fit(train, target)
 
 
-_MANY = sql_questions(*MANY).replace("(select greatest(1, count(*) // 10) from customer)", "7").replace("(select greatest(1, count(*) // 10) from part)", "7")
+_MANY = sql_questions(*MANY, step=1)
 _NAMED = "case etype " + " ".join(f"when '{a}' then '{b}'" for a, b in NAMES.items()) + " end"
 NB = f"""qn as (select qid, split, text, template, {_NAMED} etype, {sql_tokens('text')} toks from q),
 trn as (select * from qn where split = 'train'),
@@ -85,7 +85,7 @@ ranked as (select *, row_number() over (partition by qid order by round(logp, 9)
 
 @query("type_nb_predict", with_(_MANY, NB, then="select qid, etype, round(logp, 6) + 0 logp from ranked where k = 1 and qid in (select qid from qn where split = 'test')"))
 def _(spark, d):
-    q, model = _model(spark, d, step=7)  # an existing test holds it against a twin with this step
+    q, model = _model(spark, d)
     return typepredict.predict(model.scores(q.filter("split = 'test'"))).select("qid", "etype", (F.round("logp", 6) + F.lit(0.0)).alias("logp"))
 
 

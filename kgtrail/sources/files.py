@@ -38,6 +38,13 @@ def write_signatures(sigs: DataFrame, path: str) -> None:
     sigs.write.partitionBy("tail_type").parquet(path)
 
 
+def write_columnar(df: DataFrame, path: str, kind: str = "parquet", *partition_by: str) -> None:
+    """df as Parquet or ORC files, split by the given columns."""
+    if kind not in ("parquet", "orc"):
+        raise ValueError(f"kind is parquet or orc, not {kind}")
+    df.write.partitionBy(*partition_by).format(kind).save(path)
+
+
 def export_paths(paths: DataFrame, path: str, kind: str = "csv") -> None:
     flat = paths.select("qid", "len", F.concat_ws(">", "rels").alias("rels"), F.concat_ws("|", "nodes").alias("nodes"), "tail", "path_key")
     (flat.write.option("header", True).csv if kind == "csv" else flat.write.json)(path)

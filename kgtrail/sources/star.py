@@ -64,22 +64,24 @@ def triples(spark: SparkSession, sf_dir: str, *, inverses: bool = True) -> DataF
     return out
 
 
+STORED = "head string, tail string, tail_type string, rel string"
 _stores: dict[tuple[str, str], tuple[str, str]] = {}
 
 
 def store(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
     """(triples, entity types) from a store that is laid out once per application and source: the
-    triples partitioned by relation, so that a search reads only the relations it may take."""
+    triples partitioned by relation, so that a search reads only the relations it may take, and with
+    the type of their tail, so that no hop has to look it up."""
     key = (spark.sparkContext.applicationId, sf_dir)
     if key not in _stores:
         base = f"{shared_dir(spark)}/kgtrail/star-{uuid.uuid4().hex}"
-        kg = triples(spark, sf_dir)
+        kg = triples(spark, sf_dir).withColumn("tail_type", F.substring_index("tail", ":", 1))
         kg.write.partitionBy("rel").parquet(f"{base}/triples")
-        found = spark.read.schema("head string, tail string, rel string").parquet(f"{base}/triples")
+        found = spark.read.schema(STORED).parquet(f"{base}/triples")
         entity_types(found).write.parquet(f"{base}/types")
         _stores[key] = (f"{base}/triples", f"{base}/types")
     at = _stores[key]
-    kg = spark.read.schema("head string, tail string, rel string").parquet(at[0]).select("head", "rel", "tail")
+    kg = spark.read.schema(STORED).parquet(at[0]).select("head", "rel", "tail", "tail_type")
     return kg, spark.read.schema("entity string, etype string").parquet(at[1])
 
 

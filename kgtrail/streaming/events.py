@@ -18,6 +18,19 @@ def read_events(spark: SparkSession, path: str, *, files_per_batch: int = 1, lat
     return feed.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late)
 
 
+def rate_events(spark: SparkSession, *, rows_per_second: int = 100, users: int = 50, late: str = "1 hour") -> DataFrame:
+    """A feed without files, in the events' shape, for load tests."""
+    feed = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    kind = F.element_at(F.array(*[F.lit(x) for x in ("view", "click", "purchase")]), (F.col("value") % 3 + 1).cast("int"))
+    rows = feed.select(F.col("value").alias("event_id"), F.col("timestamp").alias("ts"), (F.col("value") % users).alias("user_id"), kind.alias("event_type"), F.lit(0.0).alias("value"), F.lit("{}").alias("props"))
+    return rows.withWatermark("ts", late)
+
+
+def dropped_rows(query: StreamingQuery) -> int:
+    """Rows that came after the watermark and were left out by the query's stateful operators so far."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
 def as_triples(events: DataFrame) -> DataFrame:
     return events.select(F.col("user_id").cast("string").alias("head"), F.lit("did").alias("rel"), F.col("event_type").alias("tail"), "ts")
 

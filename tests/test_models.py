@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from kgtrail.operators import baselines, graph, metrics, rank, typepredict, workload
 from kgtrail.plans import skew
-from kgtrail.queries.common import asked, gold_type
+from kgtrail.queries.common import gold_type
 from kgtrail.queries.common import graph as star_graph
 from kgtrail.sources.star import table
 
@@ -90,12 +90,14 @@ def test_edit_lookup_against_brute_force(spark):
         assert want - got <= {(i, f"e{j}") for i, a in enumerate(names) for j, b in enumerate(names) if min(len(a), len(b)) <= edits}
 
 
-def test_trends(spark, sf):
+def test_trends(spark, sf, monkeypatch):
     """Directions that the reference reports: typed search cuts the space, a beam filtered
     afterwards is worse, refinement adds precision and no recall, adaptive rounds are fewer."""
-    from kgtrail.queries import experiments, refinement
+    from kgtrail.queries import common, experiments, refinement
     from kgtrail.registry import queries
 
+    monkeypatch.setattr(common, "STEP", 15)  # ten customers of the smallest table
+
     red = {r["measure"]: r["pct"] for r in queries()["cost_reduction"](spark, sf).collect()}
     assert red["paths"] >= 95
     f1 = {r["method"]: r["f1"] for r in queries()["x_methods"](spark, sf).collect()}
@@ -119,7 +121,7 @@ def test_salted_join_is_the_join(spark):
 
 
 def test_baselines_run(spark, sf):
-    q, g = asked(spark, sf, "w_customer_region"), star_graph(spark, sf)
+    q, g = workload.questions(spark, sf, ["w_customer_region"], step=15), star_graph(spark, sf)
     assert baselines.memory(q, g.triples).count() == 50
     mass = baselines.ppr(q, g.triples, n=10**6).groupBy("qid").agg(F.sum("mass").alias("m")).collect()
     assert all(0.2 <= r["m"] <= 1 + 1e-6 for r in mass)  # ends without edges keep nothing
