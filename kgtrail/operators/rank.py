@@ -62,7 +62,8 @@ class HashedVector:
         self.dim = dim
 
     def _vec(self, toks):
-        one = lambda t: F.transform(F.sequence(F.lit(0), F.lit(self.dim - 1)), lambda i: F.when(F.pmod(F.xxhash64(t), F.lit(self.dim)) == i, F.when(F.xxhash64(t, F.lit(1)) % 2 == 0, 1.0).otherwise(-1.0)).otherwise(0.0))
+        part = lambda t, a, n: F.conv(F.substring(F.md5(t), a, n), 16, 10).cast("long")
+        one = lambda t: F.transform(F.sequence(F.lit(0), F.lit(self.dim - 1)), lambda i: F.when(part(t, 1, 8) % self.dim == i, F.when(part(t, 9, 1) % 2 == 0, 1.0).otherwise(-1.0)).otherwise(0.0))
         zero = F.array_repeat(F.lit(0.0), self.dim)
         return F.aggregate(toks, zero, lambda acc, t: F.zip_with(acc, one(t), lambda a, b: a + b))
 
@@ -109,13 +110,23 @@ def render(paths: DataFrame) -> DataFrame:
     return paths.withColumn("text", path_text(F.col("rels"), F.col("nodes")))
 
 
-def vector_top_k(queries: DataFrame, items: DataFrame, *, k: int) -> DataFrame:
-    """qid, id, score, rank: exact cosine top-k. queries (qid, vec) is the stated query set and is
-    broadcast; items (id, vec) are scanned once, and each task keeps k rows per query."""
-    met = items.crossJoin(F.broadcast(queries.select("qid", F.col("vec").alias("_q")))).filter("id <> qid")
-    scored = met.select("qid", "id", F.round(vector.cosine(F.col("_q"), F.col("vec")), 6).alias("score"))
-    order = Window.partitionBy("qid").orderBy(F.desc("score"), "id")
-    return scored.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k)
+#: Queries that are broadcast at once.
+QUERY_BLOCK = 2_000
+
+
+def vector_top_k(queries: DataFrame, items: DataFrame, *, k: int, block: int = QUERY_BLOCK) -> DataFrame:
+    """qid, id, score, rank: exact cosine top-k. The stated query set (qid, vec) is taken in blocks of
+    about `block` rows, each broadcast; items (id, vec) are scanned once a block, and each task keeps
+    k rows per query."""
+    parts, out = max(1, -(-queries.count() // block)), None
+    for i in range(parts):
+        some = queries.filter(F.pmod(F.xxhash64("qid"), F.lit(parts)) == i).select("qid", F.col("vec").alias("_q"))
+        met = items.crossJoin(F.broadcast(some)).filter("id <> qid")
+        scored = met.select("qid", "id", F.round(vector.cosine(F.col("_q"), F.col("vec")), 6).alias("score"))
+        order = Window.partitionBy("qid").orderBy(F.desc("score"), "id")
+        top = scored.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k)
+        out = top if out is None else out.unionByName(top)
+    return out
 
 
 def lsh_top_k(queries: DataFrame, items: DataFrame, *, k: int, bits: int = 6, tables: int = 12, dim: int = 64, seed: int = 5) -> DataFrame:

@@ -36,7 +36,7 @@ class NaiveBayes:
         # a token that a type never had costs the same for each type and occurrence: log(a / den)
         base = asked.groupBy("qid").agg(F.count("token").alias("len")).crossJoin(F.broadcast(prior))
         base = base.select("qid", "etype", (F.col("prior") + F.col("len") * (F.log(F.lit(a)) - F.log("den"))).alias("base"))
-        gain = asked.join(F.broadcast(self.counts), "token").groupBy("qid", "etype").agg(F.sum(F.log((F.col("n_ct") + a) / F.lit(a))).alias("gain"))
+        gain = asked.join(self.counts, "token").groupBy("qid", "etype").agg(F.sum(F.log((F.col("n_ct") + a) / F.lit(a))).alias("gain"))
         raw = base.join(gain, ["qid", "etype"], "left").select("qid", "etype", (F.col("base") + F.coalesce("gain", F.lit(0.0))).alias("raw"))
         by_q = Window.partitionBy("qid")
         top = raw.withColumn("top", F.max("raw").over(by_q))

@@ -9,7 +9,7 @@ from kgtrail.operators import graph as graphs
 from kgtrail.operators import rank
 from kgtrail.plans import expand, retrieve
 from kgtrail.plans.retrieve import Config
-from kgtrail.queries.common import KG, SIGS, asked, gold_type, graph, path_rows, sql_chain, sql_forward, sql_questions, sql_scored, sql_two, sql_walks, with_
+from kgtrail.queries.common import KG, SIGS, asked, gold_type, graph, path_rows, sql_chain, sql_forward, sql_questions, sql_scored, sql_tokens, sql_two, sql_walks, with_
 from kgtrail.registry import query
 from kgtrail.sources.star import table
 
@@ -225,13 +225,23 @@ def _pool2(spark, d):
     return q, retrieve.fallback(q, graph(spark, d).triples, depth=2)
 
 
-@query("rerank_tfidf")
+_RANKED = "select qid, path_key, score, cast(rank as int) rank from (select *, row_number() over (partition by qid order by score desc, len, path_key) rank from scored) where rank <= 16"
+_KINDS = f"kinds as (select distinct qid, rels from fwd), texts as (select distinct rels from kinds), pt as (select rels, unnest({sql_tokens('rels')}) t from texts), qt as (select qid, unnest({sql_tokens('text')}) t from q)"
+_COSINE = "dots as (select k.qid, k.rels, sum(p.w * a.w) dot from kinds k join wp p using (rels) join wq a on a.qid = k.qid and a.t = p.t group by 1, 2), scored as (select f.*, coalesce(round(dot / nullif(np * nq, 0), 6), 0) score from fwd f left join dots using (qid, rels) left join (select rels, sqrt(sum(w * w)) np from wp group by 1) using (rels) left join (select qid, sqrt(sum(w * w)) nq from wq group by 1) using (qid))"
+_TFIDF = "tf as (select rels, t, count(*) n from pt group by 1, 2), idf as (select t, ln(((select count(*) from texts) + 1) / (count(*) + 1)) idf from tf group by 1), wp as (select rels, t, n * (idf + 1) w from tf join idf using (t)), wq as (select qid, t, n * (coalesce(idf, 0) + 1) w from (select qid, t, count(*) n from qt group by 1, 2) left join idf using (t))"
+
+
+def _hashed(source: str, key: str) -> str:
+    return f"(select {key}, cast('0x' || substr(md5(t), 1, 8) as bigint) % 32 t, sum(case when cast('0x' || substr(md5(t), 9, 1) as bigint) % 2 = 0 then 1.0 else -1.0 end) w from {source} group by 1, 2)"
+
+
+@query("rerank_tfidf", with_(KG, sql_questions("w_customer_region"), sql_forward(2), _KINDS, _TFIDF, _COSINE, then=_RANKED))
 def _(spark, d):
     q, paths = _pool2(spark, d)
     return rank.top_k(paths, q, k=16, encoder=rank.TfIdf()).select("qid", "path_key", "score", "rank")
 
 
-@query("rerank_hashed_vector")
+@query("rerank_hashed_vector", with_(KG, sql_questions("w_customer_region"), sql_forward(2), _KINDS, "wp as " + _hashed("pt", "rels"), "wq as " + _hashed("qt", "qid"), _COSINE, then=_RANKED))
 def _(spark, d):
     q, paths = _pool2(spark, d)
     return rank.top_k(paths, q, k=16, encoder=rank.HashedVector(32)).select("qid", "path_key", "score", "rank")
@@ -255,4 +265,4 @@ def _(spark, d):
 @query("embedding_lsh_recall")
 def _(spark, d):
     q, items = _vectors(spark, d)
-    return rank.recall(rank.lsh_top_k(q, items, k=10, bits=4, tables=16), rank.vector_top_k(q, items, k=10))
+    return rank.recall(rank.lsh_top_k(q, items, k=10, bits=8, tables=24), rank.vector_top_k(q, items, k=10))
