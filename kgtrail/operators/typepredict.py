@@ -46,7 +46,9 @@ class NaiveBayes:
 class Nearest:
     """Vote of the k training questions nearest by token cosine. Training texts are deduplicated to
     (text without digits, type) prototypes, so the broadcast side grows with the number of
-    phrasings, not of questions."""
+    phrasings, not of questions; it is counted, and more than MOST are refused."""
+
+    MOST = 20_000
 
     def __init__(self, k: int = 3):
         self.k = k
@@ -54,6 +56,8 @@ class Nearest:
     def fit(self, train: DataFrame, target: DataFrame) -> Nearest:
         pairs = train.select("qid", "text").join(target.select("qid", "etype", "q"), "qid")
         self.prototypes = pairs.groupBy(F.regexp_replace("text", "[0-9]+", "").alias("proto"), "etype").agg(F.sum("q").alias("weight"))
+        if self.prototypes.limit(self.MOST + 1).count() > self.MOST:
+            raise ValueError(f"more than {self.MOST} phrasings: compare them by an index of words")
         return self
 
     def scores(self, q: DataFrame) -> DataFrame:

@@ -122,10 +122,10 @@ def _(spark, d):
     return _state(spark, d)[3].select("qid", refine.should_stop(low, F.col("y_ref"), F.reverse(F.array_sort("y_ref"))).alias("stop"))
 
 
-def loop(spark, d, made=None, **options):
+def loop(spark, d, made=None, margin=1.0, **options):
     """(questions, runs); made is a pool that several runs share."""
     q, p0, g = made or pool(spark, d)
-    return q, refine.run(q, p0, refine.RuleGenerator(), refine.RuleRefiner(g.facts), **options)
+    return q, refine.run(q, p0, refine.RuleGenerator(margin), refine.RuleRefiner(g.facts), **options)
 
 
 _LEFT = "left join fin using (qid)"
