@@ -2,7 +2,8 @@
 R-15, R-16).
 
 A path is a row (qid, len, rels, nodes, v, path_key); v is its end, and vtype, where edges carry
-`tail_type` and the search asks for it, the type of the end. Depth is a static loop, so a whole
+`tail_type` and the search asks for it, the type of the end (null at a topic, which no edge led to).
+Depth is a static loop, so a whole
 search is one logical plan that Catalyst sees at once.
 """
 
@@ -47,11 +48,10 @@ def within_budget(front: DataFrame, budget: int | None, score: str | None = None
 def prefixes(q: DataFrame, kg: DataFrame, *, depth: int, budget: int | None = None, path_mode: str = "walk", masks: list[DataFrame] | None = None, etypes: DataFrame | None = None, typed: bool = False) -> list[DataFrame]:
     """Prefixes of length 0 to depth, a frame for each length. With masks (one for each length:
     qid, etype) a prefix stays only if the type of its end is allowed. typed: prefixes keep vtype,
-    if the edges carry it; then only the topics' types are looked up."""
+    if the edges carry types; then none is looked up."""
     front = start(q)
-    if typed and "tail_type" in kg.columns:
-        own = etypes.select(F.col("entity").alias("v"), F.col("etype").alias("vtype"))
-        front = front.join(own, "v", "left").select(*front.columns, "vtype")
+    if typed and {"head_type", "tail_type"} <= set(kg.columns):
+        front = front.withColumn("vtype", F.lit(None).cast("string"))
     out = [front]
     for i in range(1, depth + 1):
         front = step(front, kg, path_mode=path_mode)

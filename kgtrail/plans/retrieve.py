@@ -35,11 +35,12 @@ def last_hop(pred: DataFrame, sigs: DataFrame) -> DataFrame:
 
 def meet(prefixes: DataFrame, etypes: DataFrame, last: DataFrame, *, head_check: str = "strict") -> DataFrame:
     """Prefixes with the final relations that may complete them: one row per (prefix, rel). The type
-    of an end is read from the prefix, or looked up where prefixes do not carry it."""
+    of an end is read from the prefix, or looked up where prefixes do not carry it. A topic, whose
+    type no edge told, meets all final relations; its edges are then held against head_type."""
     if head_check == "edge":
         return prefixes.join(last.select("qid", "rel").distinct(), "qid")
     if "vtype" in prefixes.columns:
-        return prefixes.withColumnRenamed("vtype", "head_type").join(last, ["qid", "head_type"]).drop("head_type")
+        return prefixes.join(last, "qid").filter("vtype is null or vtype = head_type").drop("vtype")
     typed = prefixes.join(etypes, prefixes["v"] == etypes["entity"]).withColumnRenamed("etype", "head_type").drop("entity")
     return typed.join(last, ["qid", "head_type"]).drop("head_type").distinct()
 
@@ -48,7 +49,8 @@ def complete(met: DataFrame, kg: DataFrame, last: DataFrame | None = None, *, pa
     """The met prefixes, lengthened by their matched edges only. Of a graph stored by relation only
     the relations that occur in `last` are read: the broadcast side has a row for each relation."""
     edges = kg if last is None else kg.join(F.broadcast(last.select("rel").distinct()), "rel", "left_semi")
-    hop = met.join(edges.select(F.col("head").alias("v"), "rel", "tail"), ["v", "rel"])
+    types = ["head_type"] if "head_type" in met.columns else []
+    hop = met.join(edges.select(F.col("head").alias("v"), "rel", *types, "tail"), ["v", "rel", *types])
     if path_mode == "simple":
         hop = hop.filter(~F.array_contains("nodes", F.col("tail")))
     return hop.select(

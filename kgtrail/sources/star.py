@@ -64,7 +64,7 @@ def triples(spark: SparkSession, sf_dir: str, *, inverses: bool = True) -> DataF
     return out
 
 
-STORED = "head string, tail string, tail_type string, rel string"
+STORED = "head string, tail string, head_type string, tail_type string, rel string"
 _stores: dict[tuple[str, str], tuple[str, str]] = {}
 
 
@@ -75,13 +75,13 @@ def store(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
     key = (spark.sparkContext.applicationId, sf_dir)
     if key not in _stores:
         base = f"{shared_dir(spark)}/kgtrail/star-{uuid.uuid4().hex}"
-        kg = triples(spark, sf_dir).withColumn("tail_type", F.substring_index("tail", ":", 1))
+        kg = triples(spark, sf_dir).withColumns({f"{end}_type": F.substring_index(end, ":", 1) for end in ("head", "tail")})
         kg.write.partitionBy("rel").parquet(f"{base}/triples")
         found = spark.read.schema(STORED).parquet(f"{base}/triples")
         entity_types(found).write.parquet(f"{base}/types")
         _stores[key] = (f"{base}/triples", f"{base}/types")
     at = _stores[key]
-    kg = spark.read.schema(STORED).parquet(at[0]).select("head", "rel", "tail", "tail_type")
+    kg = spark.read.schema(STORED).parquet(at[0]).select("head", "rel", "tail", "head_type", "tail_type")
     return kg, spark.read.schema("entity string, etype string").parquet(at[1])
 
 

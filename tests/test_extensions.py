@@ -77,3 +77,14 @@ def test_second_round_brings_supported_answers_that_the_first_left_out(spark):
     assert run(max_rounds=1) == {1: (["a"], 1), 2: (["b"], 1)}
     assert run() == {1: (["b"], 2), 2: (["b"], 1)}
     assert run(adaptive=False) == {1: (["b"], 3), 2: (["b"], 3)}
+
+
+def test_typed_search_looks_up_no_entity_types(spark, sf):
+    from kgtrail.plans import retrieve
+    from kgtrail.queries.common import asked, gold_type, graph
+
+    q, g = asked(spark, sf, "w_customer_brands"), graph(spark, sf)
+    assert "/types]" in metrics.plan_text(g.entity_types)
+    for mask in (False, True):
+        paths = retrieve.bidirectional(q, gold_type(q), g.triples, g.entity_types, g.signatures, retrieve.Config(depth=3, use_mask=mask))
+        assert "/types]" not in metrics.plan_text(paths)
