@@ -83,3 +83,18 @@ def test_beams_join_no_more_of_a_hub_than_they_keep(spark, sf, monkeypatch, key)
 @pytest.mark.parametrize("key", ["ontology_schema", "ontology_blocklist", "ontology_complete", "ontology_incomplete", "ontology_domain_range", "ontology_coverage", "ontology_by_tail", "type_soft_target"])
 def test_schema_queries_read_the_tables(spark, sf, key):
     assert any("parquet" in f for f in queries()[key](spark, sf).inputFiles())
+
+
+@pytest.mark.parametrize("key", ["path_counts_constrained", "bound_check"])
+def test_counts_never_pair_questions_with_what_they_reach(spark, sf, written, key):
+    made = written(expand)
+    queries()[key](spark, sf)
+    assert made and all("qid" not in df.columns for name, df in made if name in ("near", "back"))
+
+
+def test_counting_back_equals_counting_forward(spark, sf):
+    q, g = asked(spark, sf, BRANDS, "w_customer_nation"), graph(spark, sf)
+    hops = retrieve.typed_hops(g.signatures, gold_type(q), depth=3, starts=retrieve.topic_types(q))
+    last = retrieve.last_hop(gold_type(q), g.signatures)
+    rows = lambda df: {tuple(r) for r in df.collect()}
+    assert rows(expand.count_back(q, g.triples, hops, last=last)) == rows(expand.count_paths(q, g.triples, depth=3, last=last))
