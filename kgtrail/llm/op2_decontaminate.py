@@ -15,7 +15,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from kgtrail.llm.common import WORD_ANY_CASE, ascii_lower, stored, table
+from kgtrail.llm.common import BETWEEN_WORDS, ascii_lower, stored, table
 
 #: Consecutive words of a test item that make a window.
 WIDTH = 13
@@ -36,8 +36,9 @@ class Index:
 
 
 def words(text: Column) -> Column:
-    """The words of a text in their own case; none for null."""
-    return F.regexp_extract_all(F.coalesce(text, F.lit("")), F.lit(WORD_ANY_CASE), F.lit(0))
+    """The words of a text in their own case; none for null. Split at what stands between them, as
+    matching each word on its own takes several times as long."""
+    return F.array_remove(F.split(F.coalesce(text, F.lit("")), BETWEEN_WORDS), "")
 
 
 def sized(df: DataFrame, most: int | None = None) -> DataFrame:

@@ -56,3 +56,16 @@ def test_a_window_of_one_word_and_of_equal_words(spark):
     assert got == {1: (3, 1), 2: (0, 0), 3: (1, 1), 4: (0, 0)}
     near = sorted((r["doc_id"], r["phrase"]) for r in op.proximity_matches(docs, items(spark, ["a a", "c"]), slop=1).select("doc_id", "phrase").distinct().collect())
     assert near == [(1, "a a"), (2, "a a"), (3, "c")]
+
+
+def test_words_are_split_and_not_matched_one_by_one(spark):
+    import re
+
+    from pyspark.sql import functions as F
+
+    from kgtrail.llm.common import WORD_ANY_CASE
+
+    texts = ["", " ", "one", " lead and trail. ", "..a..B", "a\n\tb\r\n c\x00d\x7fe", "İstanbul ÄÖ 東京,x 😀y_z", "A" * 50 + " 1-2", None]
+    df = frame(spark, list(enumerate(texts))).withColumn("ws", op.words(F.col("text")))
+    assert {r["doc_id"]: r["ws"] for r in df.collect()} == {i: re.findall(WORD_ANY_CASE, t or "") for i, t in enumerate(texts)}
+    assert "regexp_extract_all" not in df._jdf.queryExecution().toString()
