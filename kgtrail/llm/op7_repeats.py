@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kgtrail.llm.common import small_batches, stored, table
+from kgtrail.llm.common import give_back, small_batches, stored, table
 from kgtrail.llm.kernels import phrases as kernel
 from kgtrail.llm.op2_decontaminate import sized
 
@@ -47,6 +47,8 @@ def _cutter(width: int):
                     held, size = [], 0
             if held:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*held, strict=True)], names)
+        held = batch = None
+        give_back()  # the worker stays beside the joins that follow
 
     return run
 
@@ -86,6 +88,8 @@ def _sorter(width: int, chunk: int):
                 held.append(r)
         if held:
             yield done(held)
+        held = batch = r = None
+        give_back()
 
     return run
 
@@ -114,11 +118,13 @@ def repeated_spans(texts: DataFrame, *, width: int = WIDTH, chunk: int = CHUNK,
     # a window can only occur again if the core of its half does
     # (written first: then both sides of the join are plain exchanges, and Spark splits a hot core)
     cores = stored(cuts.groupBy("core").agg(F.count("*").alias("k")).filter("k > 1").select("core"), "cores")
-    alive = stored(cuts.join(cores, "core", "left_semi"), "repeated-cores")
-    words = alive.groupBy("core", "phrase").agg(F.count("*").alias("k"), F.min(F.struct("row", "at", "lo", "hi")).alias("one"))
-    words = stored(words.select("core", "phrase", (F.col("k") > 1).alias("many"), "one.*"), "dictionary")
+    # (joined by hash: sorts of all phrases, here or in the dictionary, fill an executor's heap)
+    alive = stored(cuts.join(cores.hint("shuffle_hash"), "core", "left_semi"), "repeated-cores")
+    # one place of each phrase: the four columns are taken from the same row, whichever it is
+    words = alive.groupBy("core", "phrase").agg(F.count("*").alias("k"), *[F.first(c).alias(c) for c in ("row", "at", "lo", "hi")])
+    words = stored(words.select("core", "phrase", (F.col("k") > 1).alias("many"), "row", "at", "lo", "hi"), "dictionary")
     # all windows of a phrase that occurs twice occur twice
-    whole = alive.join(words.filter("many").select("core", "phrase"), ["core", "phrase"], "left_semi")
+    whole = alive.join(words.filter("many").select("core", "phrase").hint("shuffle_hash"), ["core", "phrase"], "left_semi")
     whole = whole.select("row", (F.col("at") - F.col("hi")).cast("long").alias("start"), (F.col("at") - F.col("lo") + width).cast("long").alias("end"))
     # phrases that share their core but are not all equal
     kinds = stored(words.groupBy("core").agg(F.count("*").alias("kinds")).filter("kinds > 1"), "mixed-cores")

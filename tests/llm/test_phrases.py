@@ -48,3 +48,25 @@ def test_phrases_overlap_by_a_trigger_and_no_suffix_begins_another():
     assert len(words) == len(cut.first) < len(cut.start)
     tails = {w[k:] for w in words for k in range(len(w) - phrases.GRAM) if not w.endswith(b"$")}
     assert not [(x, y) for x in tails for y in tails if x != y and y.startswith(x)]
+
+
+def test_phrases_of_a_corpus_are_joined_without_sorting_them(spark, monkeypatch):
+    from kgtrail.llm import op7_repeats as op
+
+    plans, keep = {}, op.stored
+
+    def seen(df, name):
+        plans[name] = df._jdf.queryExecution().executedPlan().toString()
+        return keep(df, name)
+
+    monkeypatch.setattr(op, "stored", seen)
+    same = "".join(f"{i % 97} word " for i in range(80))
+    texts = spark.createDataFrame([(1, "first " + same), (2, "second one " + same), (3, "alone " * 9)], "row long, text string")
+    threshold = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
+    try:
+        spans = op.repeated_spans(texts).collect()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", threshold)
+    assert {r["row"] for r in spans} == {1, 2}
+    assert not [n for n in ("repeated-cores", "dictionary") if "Sort" in plans[n]]
