@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from kgtrail.llm import op2_decontaminate, op6_pii, op8_near_copies, op10_toxicity
-from kgtrail.llm.common import stored, table
+from kgtrail.llm.common import executors_give_back, stored, table
 from kgtrail.llm.op1_bpe import encode_documents, tokenizer_file
 
 
@@ -21,21 +21,25 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each class of near copies: the one with the smallest doc_id."""
+    executors_give_back(spark)
     return op8_near_copies.without_near_copies(docs)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents of which passages of the benchmark make up less than a twentieth."""
+    executors_give_back(spark)
     return op2_decontaminate.clean(docs, table(spark, sf_dir, "benchmark"))
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, with personal data replaced by its kind."""
+    executors_give_back(spark)
     return op6_pii.redact(docs)
 
 
 def token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, n_tokens, ids, and a hash of what the ids decode to."""
+    executors_give_back(spark)
     return encode_documents(docs, tokenizer_file(), form="ids")
 
 

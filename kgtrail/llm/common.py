@@ -10,6 +10,7 @@ import sys
 import tempfile
 import types
 import uuid
+from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -78,6 +79,22 @@ def give_back() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
+def executors_give_back(spark: SparkSession) -> None:
+    """Lets every idle core drop what its Python worker kept and its JVM shrink a heap that the stage
+    before has grown: workers and heaps share the memory of an executor, and neither does so by itself.
+    A task for each core; one that another executor takes instead costs memory, never rows."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            worker_state("", lambda: None)
+            give_back()
+            yield batch
+
+    n = spark.sparkContext.defaultParallelism
+    idle = spark.range(0, n, 1, n).mapInArrow(run, "id long")
+    idle.select(F.java_method(F.lit("java.lang.System"), F.lit("gc"))).write.format("noop").mode("overwrite").save()
+
+
 #: Rows and bytes that go to a Python worker at once; a batch is held whole.
 BATCH_ROWS, BATCH_BYTES = 1_000, 16 << 20
 

@@ -1,11 +1,14 @@
 import os
+import sys
+import time
 
 import duckdb
+import pyarrow as pa
 import pytest
 
 import corpus_pipeline
 from kgtrail.llm import op10_toxicity, queries
-from kgtrail.llm.common import table
+from kgtrail.llm.common import table, worker_state
 from kgtrail.llm.kernels import spans
 from kgtrail.llm.kernels.backtrack import WordBpe
 from kgtrail.llm.op1_bpe import tokenizer_file
@@ -51,3 +54,24 @@ def test_pipeline_stage_by_stage(spark, con):
     assert texts == {i: spans.redacted(kept[i], spans.spans(kept[i])) for i in ids - dirty}
     coder = WordBpe(open(tokenizer_file(), encoding="utf-8").read())
     assert {r["doc_id"]: r["ids"] for r in corpus_pipeline.run(spark, SF).collect()} == {i: coder.encode(t).tolist() for i, t in texts.items()}
+
+
+def test_workers_hold_nothing_of_the_stage_before(spark):
+    """What an operator kept in the workers is gone when the next stage begins."""
+
+    def hold(batches):
+        worker_state("held", lambda: "tables")
+        time.sleep(0.5)  # so that each task has a worker of its own
+        yield from batches
+
+    def look(batches):
+        time.sleep(0.5)
+        for b in batches:
+            yield pa.RecordBatch.from_pydict({"key": [str(getattr(sys.modules.get("_kgtrail_worker_state"), "key", None))] * b.num_rows})
+
+    cores = spark.range(0, 4, 1, 4)
+    keys = lambda: {r["key"] for r in cores.mapInArrow(look, "key string").collect()}
+    cores.mapInArrow(hold, "id long").collect()
+    assert "held" in keys()
+    corpus_pipeline.personal_data(spark, table(spark, SF, "documents"), SF)
+    assert "held" not in keys()
