@@ -20,14 +20,18 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of near copies: the one with the smallest doc_id."""
+    """One document of each class of near copies: the one with the smallest doc_id. What is left to run
+    of its plan has no Python, and decontamination may run none, so the workers give back here."""
     executors_give_back(spark)
-    return op8_near_copies.without_near_copies(docs)
+    kept = op8_near_copies.without_near_copies(docs)
+    executors_give_back(spark)
+    return kept
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents of which passages of the benchmark make up less than a twentieth."""
-    executors_give_back(spark)
+    """Documents of which passages of the benchmark make up less than a twentieth; no Python runs on the
+    executors."""
+    executors_give_back(spark, workers=False)
     return op2_decontaminate.clean(docs, table(spark, sf_dir, "benchmark"))
 
 

@@ -79,10 +79,11 @@ def give_back() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
-def executors_give_back(spark: SparkSession) -> None:
+def executors_give_back(spark: SparkSession, *, workers: bool = True) -> None:
     """Lets every idle core drop what its Python worker kept and its JVM shrink a heap that the stage
     before has grown: workers and heaps share the memory of an executor, and neither does so by itself.
-    A task for each core; one that another executor takes instead costs memory, never rows."""
+    Without workers only the heaps shrink, and no Python runs. A task for each core; one that another
+    executor takes instead costs memory, never rows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -91,7 +92,9 @@ def executors_give_back(spark: SparkSession) -> None:
             yield batch
 
     n = spark.sparkContext.defaultParallelism
-    idle = spark.range(0, n, 1, n).mapInArrow(run, "id long")
+    idle = spark.range(0, n, 1, n)
+    if workers:
+        idle = idle.mapInArrow(run, "id long")
     idle.select(F.java_method(F.lit("java.lang.System"), F.lit("gc"))).write.format("noop").mode("overwrite").save()
 
 

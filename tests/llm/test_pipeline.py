@@ -1,4 +1,5 @@
 import os
+import re
 import sys
 import time
 
@@ -75,3 +76,17 @@ def test_workers_hold_nothing_of_the_stage_before(spark):
     assert "held" in keys()
     corpus_pipeline.personal_data(spark, table(spark, SF, "documents"), SF)
     assert "held" not in keys()
+
+
+def test_decontamination_runs_no_python_on_executors(spark):
+    """Nor does what near copies leave to it: the workers have given back before its plan is written."""
+    docs = table(spark, SF, "documents")
+    held = corpus_pipeline.near_copies(spark, docs, SF)
+    ran, bus = spark._jsparkSession.sharedState().statusStore(), spark.sparkContext._jsc.sc().listenerBus()
+    bus.waitUntilEmpty(30_000)
+    before = ran.executionsCount()
+    held.write.format("noop").mode("overwrite").save()
+    corpus_pipeline.decontamination(spark, docs, SF).write.format("noop").mode("overwrite").save()
+    bus.waitUntilEmpty(30_000)
+    plans = [x.physicalPlanDescription() for x in spark._jvm.scala.jdk.javaapi.CollectionConverters.asJava(ran.executionsList(before, 1_000))]
+    assert len(plans) > 5 and not [p for p in plans if re.search("Python|Pandas|Arrow", p)]
