@@ -6,7 +6,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from kgtrail.functions import external
-from kgtrail.operators import metrics, refine
+from kgtrail.operators import metrics, refine, workload
+from kgtrail.registry import queries
 from kgtrail.sources import files
 from kgtrail.sources.star import table
 from kgtrail.streaming import events as stream
@@ -88,3 +89,34 @@ def test_typed_search_looks_up_no_entity_types(spark, sf):
     for mask in (False, True):
         paths = retrieve.bidirectional(q, gold_type(q), g.triples, g.entity_types, g.signatures, retrieve.Config(depth=3, use_mask=mask))
         assert "/types]" not in metrics.plan_text(paths)
+
+
+def test_all_limits_of_rounds_come_from_one_trace(spark):
+    """What is cut from one trace is what a run to each limit gives."""
+    path = lambda q, key, tail, score, rank: (q, 1, ["r"], ["s", tail], tail, f"{q}{key}", score, rank)
+    rows = [path(1, "p1", "a", 0.9, 1), path(1, "p2", "b", 0.5, 2), path(2, "p1", "b", 0.9, 1), path(3, "p1", "a", 0.9, 1), path(3, "p2", "b", 0.9, 2)]
+    p0 = spark.createDataFrame(rows, "qid long, len int, rels array<string>, nodes array<string>, tail string, path_key string, score double, rank int")
+    held = [("answer", "kind", "=", "good")]
+    q = spark.createDataFrame([(i, held) for i in (1, 2, 3, 4)], "qid long, constraints array<struct<target:string,rel:string,op:string,value:string>>")
+    facts = spark.createDataFrame([("a", "kind", "bad"), ("b", "kind", "good"), ("c", "kind", "good")], "entity string, attr string, value string")
+    made = q, p0, refine.RuleGenerator(0.05), refine.RuleRefiner(facts)
+    found = refine.trace(*made)
+    for options in ({}, {"max_rounds": 1}, {"max_rounds": 2}, {"max_rounds": 2, "adaptive": False}, {"adaptive": False}):
+        assert sorted(map(str, refine.cut(found, **options).collect())) == sorted(map(str, refine.run(*made, **options).collect()))
+    assert {r["qid"]: r["rounds"] for r in refine.cut(found).collect()} == {1: 2, 2: 1, 3: 2, 4: 0}
+
+
+@pytest.mark.parametrize("key, most", [("pick_rounds", 2), ("tradeoff_rounds", 3), ("tradeoff_rounds_narrow", 3)])
+def test_rounds_and_gold_are_made_once(spark, sf, key, most, monkeypatch):
+    """No mode repeats the rounds of another, nor the answers from the raw tables."""
+    written, golds, write, gold = [], [], refine.stored, workload.gold
+    monkeypatch.setattr(refine, "stored", lambda df, name: written.append(name) or write(df, name))
+    monkeypatch.setattr(workload, "gold", lambda *a, **b: golds.append(1) or gold(*a, **b))
+    rows = queries()[key](spark, sf).collect()
+    assert written.count("round") <= most and len(golds) == 1 and len(rows) in (1, 3)
+
+
+def test_few_questions_leave_the_answers_as_they_are(spark, sf):
+    names = sorted(workload.BOUGHT) + ["w_suppliers_in_nation"]
+    q = workload.questions(spark, sf, names, step=5)
+    assert sorted(map(str, workload.gold(spark, sf, q, few=True).collect())) == sorted(map(str, workload.gold(spark, sf, q).collect()))
